@@ -80,18 +80,19 @@ def source_targets(
     cap = max_repeats * F.col("source_size")
     every = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     fills = Window.orderBy(cap / F.col("weight"), "source_key")
-    below, here = fills.rowsBetween(Window.unboundedPreceding, -1), cap / F.col("weight")
+    below = fills.rowsBetween(Window.unboundedPreceding, -1)
     state = (
         ranked.withColumn("budget", budget_share * F.sum("source_size").over(every))
         .withColumn("full", F.coalesce(F.sum(cap).over(below), F.lit(0.0)))
         .withColumn("w_left", F.sum("weight").over(every) - F.coalesce(F.sum("weight").over(below), F.lit(0.0)))
         .withColumn("level", (F.col("budget") - F.col("full")) / F.col("w_left"))
-        .withColumn("level", F.min(F.when(F.col("level") <= here, F.col("level"))).over(every))
+        # the filled total is the least of the lines full + level * w_left, so the level is their greatest root
+        .withColumn("level", F.max("level").over(every))
     )
     return state.select(
         "source_key",
         "source_size",
-        F.when(F.col("level").isNull(), cap).otherwise(F.least(cap, F.col("level") * F.col("weight"))).alias("target"),
+        F.least(cap, F.col("level") * F.col("weight")).alias("target"),
     )
 
 
@@ -164,7 +165,7 @@ def mix_documents(docs: DataFrame, **options) -> DataFrame:
     plan = plan_mix(marked, size_col="__size", seed=seed)
     n = F.row_number().over(Window.partitionBy("doc_id", "source", "size").orderBy(F.col("copies").desc()))
     plan = plan.withColumn("nth", n).where("copies > 0").select(
-        F.col("doc_id").alias("__i"), F.col("source").alias("__s"), F.col("size").alias("__z"), "nth", "copies"
+        F.col("doc_id").alias("__i"), F.col("source").alias("__s"), F.col("size").alias("__z"), F.col("nth").alias("__n"), F.col("copies").alias("__copies")
     )
     same = Window.partitionBy("doc_id", "source", "__size").orderBy("text")
     rows = marked.withColumn("__nth", F.row_number().over(same))
@@ -172,9 +173,9 @@ def mix_documents(docs: DataFrame, **options) -> DataFrame:
         F.col("doc_id").eqNullSafe(F.col("__i"))
         & F.col("source").eqNullSafe(F.col("__s"))
         & (F.col("__size") == F.col("__z"))
-        & (F.col("__nth") == F.col("nth"))
+        & (F.col("__nth") == F.col("__n"))
     )
-    out = rows.join(plan, met).withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
+    out = rows.join(plan, met).withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies"))))
     return out.select(*docs.columns)
 
 

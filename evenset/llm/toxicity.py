@@ -43,12 +43,15 @@ def fit_noisy_or(
     bags: list[list[list[str]]],
     labels: np.ndarray,
     *,
-    min_docs: int = 5,
+    min_docs: int = 3,
+    min_lean: float = 4.0,
     epochs: int = 120,
     rate: float = 0.3,
-    l2: float = 1e-4,
+    l2: float = 3e-5,
 ) -> tuple[dict[str, float], float]:
-    """Weights of words and the bias, by Adam on the noisy-or likelihood."""
+    """Weights of features and the bias, by Adam on the noisy-or likelihood. Only features in at least min_docs
+    toxic documents, and in min_lean standard deviations more of them than chance puts there, get a weight:
+    rare ones would explain single documents away."""
     labels = np.asarray(labels, np.float64)
     if len(labels) == 0 or labels.min() == labels.max():
         return {}, -30.0
@@ -60,13 +63,11 @@ def fit_noisy_or(
         if y:
             toxic.update(words)
     rate_all = labels.mean()
-    # words that lean to neither side carry no evidence for a bag's label
-    vocab = {}
-    for w, n in held.items():
-        if n >= min_docs:
-            lift = (toxic[w] + rate_all) / (n + 1.0) / rate_all
-            if lift > 1.5 or lift < 0.5:
-                vocab[w] = len(vocab)
+    vocab: dict[str, int] = {}
+    for w, n in toxic.items():
+        chance = held[w] * rate_all
+        if n >= min_docs and n >= chance + min_lean * np.sqrt(chance * (1 - rate_all)):
+            vocab[w] = len(vocab)
     cols, sent_of, bag_of, n_sent = [], [], [], 0
     for b, bag in enumerate(bags):
         for s in bag:
