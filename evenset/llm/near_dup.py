@@ -8,8 +8,9 @@ confirmed links give the groups.
 
 A list that holds more than `hot` classes is mostly a passage that unlike documents share. A class with few
 such values has enough rare ones to meet all its partners, so it skips hot lists; the others stay in them.
-Inside a list, classes that are surely alike (estimate far above the threshold) are chained by spanning
-links instead of all pairs; unsure pairs across chains are all confirmed. Lists beyond `list_rows` are cut
+Inside a list, classes that are surely alike (estimate four standard errors above the threshold) are
+chained by spanning links instead of all pairs; pairs within four errors of it are confirmed if no chain joins
+them. A pair is settled in the first list that it shares. Lists beyond `list_rows` are cut
 into sub-lists, and every pair of sub-lists is compared, so no link is lost to a cap.
 
 A pair at the threshold shares none of its least 16 values with probability 0.25**16.
@@ -59,52 +60,52 @@ def shingle_set(text: str | None, width: int, memo: dict[bytes, int]) -> np.ndar
     return np.unique(h)
 
 
-def estimate_block(rows: slice, counts: np.ndarray, common: np.ndarray, tops: np.ndarray, ranks: np.ndarray) -> np.ndarray:
-    """Jaccard estimates of rows against all from the union of both sketches, up to the lesser of their ends."""
-    lower = tops[rows, None] <= tops[None, :]
-    mine = np.where(lower, counts[rows, None], ranks[rows])
-    theirs = np.where(lower, ranks.T[rows], counts[None, :])
-    union = mine + theirs - common
-    return common / np.maximum(union, 1)
-
-
 def list_links(
-    ids: np.ndarray, sizes: np.ndarray, sketches: list[np.ndarray], threshold: float, side: np.ndarray | None = None
-) -> list[tuple[int, int]]:
+    ids: np.ndarray,
+    sizes: np.ndarray,
+    sketches: list[np.ndarray],
+    threshold: float,
+    side: np.ndarray | None = None,
+    earlier: list[np.ndarray] | None = None,
+) -> tuple[np.ndarray, np.ndarray]:
     """Candidate links inside one list: spanning links of the surely alike and all unsure pairs across them.
-    side: two sub-lists by 0 and 1, of which only pairs across are asked; None asks all."""
+    side: two sub-lists by 0 and 1, of which only pairs across are asked; None asks all.
+    earlier: per class, its lists that come before this one; pairs that meet there are settled there."""
     order = np.argsort(ids, kind="stable")
     ids, sizes, sketches = ids[order], sizes[order], [sketches[i] for i in order]
     side = None if side is None else side[order]
     m = len(ids)
+    none = np.zeros(0, np.int64)
     if m < 2:
-        return []
+        return none, none
     counts = np.array([len(s) for s in sketches])
-    flat = np.concatenate(sketches)
-    owner = np.repeat(np.arange(m), counts)
-    values, code, held = np.unique(flat, return_inverse=True, return_counts=True)
-    shared = held > 1
-    place = np.cumsum(shared) - 1
-    use = shared[code]
-    seen = np.zeros((m, int(shared.sum())), np.float32)
-    seen[owner[use], place[code[use]]] = 1
+    seen = _incidence(sketches)
+    met = None if earlier is None else _incidence([earlier[i] for i in order])
     # a sketch that holds its whole set has no end
     whole = sizes <= counts
     tops = np.where(whole, np.iinfo(np.int64).max, [int(s[-1]) for s in sketches]).astype(np.int64)
-    ranks = np.stack([np.searchsorted(s, tops.clip(max=2**32 - 1).astype(np.uint32), "right") for s in sketches])
+    ends = tops.clip(max=2**32 - 1).astype(np.uint32)
+    ranks = np.stack([np.searchsorted(s, ends, "right") for s in sketches]).astype(np.int32)
     label = np.arange(m)
     links: list[tuple[int, int]] = []
-    unsure: list[tuple[int, int]] = []
-    step = max(1, (1 << 21) // m)
+    unsure: list[tuple[np.ndarray, np.ndarray]] = []
+    step = max(1, (1 << 20) // m)
     for at in range(0, m, step):
         rows = slice(at, min(m, at + step))
-        est = estimate_block(rows, counts, seen[rows] @ seen.T, tops, ranks)
-        est[sizes[rows, None] < threshold * sizes[None, :]] = 0
-        est[sizes[None, :] < threshold * sizes[rows, None]] = 0
-        exact = whole[rows, None] & whole[None, :]
-        margin = np.where(exact, 1e-9, 0.13)
-        high = est >= threshold + np.where(exact, 0, 0.1)
-        maybe = (est >= threshold - margin) & ~high
+        common = seen[rows] @ seen.T
+        # the union of both sketches, up to the lesser of their ends, is a sample of the union of the sets
+        lower = tops[rows, None] <= tops[None, :]
+        union = np.where(lower, counts[rows, None], ranks[rows])
+        union = np.maximum(union + np.where(lower, ranks.T[rows], counts[None, :]) - common, 1)
+        est = common / union
+        rare = (sizes[rows, None] < threshold * sizes[None, :]) | (sizes[None, :] < threshold * sizes[rows, None])
+        est[rare] = 0
+        every = (sizes[rows, None] + sizes[None, :]) / (1 + threshold)
+        error = np.sqrt(threshold * (1 - threshold) / union * np.clip(1 - union / every, 0, 1))
+        error[whole[rows, None] & whole[None, :]] = 0
+        high = est >= threshold + 4 * error
+        maybe = (est >= threshold - 4 * error - 1e-6) & ~high
+        elsewhere = None if met is None else (met[rows] @ met.T) > 0
         for i in range(rows.start, rows.stop):
             js = i + 1 + np.flatnonzero(high[i - at, i + 1 :])
             us = i + 1 + np.flatnonzero(maybe[i - at, i + 1 :])
@@ -112,12 +113,34 @@ def list_links(
                 js, us = js[side[js] != side[i]], us[side[us] != side[i]]
             js = js[label[js] != label[i]]
             while len(js):
-                links.append((i, int(js[0])))
-                label[label == label[js[0]]] = label[i]
+                j = int(js[0])
+                if elsewhere is None or not elsewhere[i - at, j]:
+                    links.append((i, j))
+                label[label == label[j]] = label[i]
                 js = js[label[js] != label[i]]
-            unsure += [(i, int(j)) for j in us[label[us] != label[i]]]
-    links += [(i, j) for i, j in unsure if label[i] != label[j]]
-    return [(int(ids[i]), int(ids[j])) for i, j in links]
+            us = us[label[us] != label[i]]
+            if elsewhere is not None:
+                us = us[~elsewhere[i - at, us]]
+            if len(us):
+                unsure.append((np.full(len(us), i), us))
+    a = np.concatenate([np.array([x for x, _ in links], np.int64), *[x for x, _ in unsure]])
+    b = np.concatenate([np.array([y for _, y in links], np.int64), *[y for _, y in unsure]])
+    keep = np.ones(len(a), bool)
+    keep[len(links) :] = label[a[len(links) :]] != label[b[len(links) :]]
+    return ids[a[keep]], ids[b[keep]]
+
+
+def _incidence(sets: list[np.ndarray]) -> np.ndarray:
+    """0/1 matrix of sets by the values that at least two of them hold."""
+    flat = np.concatenate(sets)
+    owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    _, code, held = np.unique(flat, return_inverse=True, return_counts=True)
+    shared = held > 1
+    place = np.cumsum(shared) - 1
+    use = shared[code]
+    out = np.zeros((len(sets), int(shared.sum())), np.float32)
+    out[owner[use], place[code[use]]] = 1
+    return out
 
 
 def _profiles(width: int, index_k: int, sketch_k: int):
@@ -151,8 +174,12 @@ def _lists(threshold: float):
             cells = pdf["cell"].to_numpy()
             sketches = [np.frombuffer(x, np.uint32) for x in pdf["sketch"]]
             side = cells if (cells >= 0).any() else None
-            found = list_links(pdf["id"].to_numpy(np.int64), pdf["n"].to_numpy(np.int64), sketches, threshold, side)
-            return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
+            here = pdf["v"].iloc[0]
+            earlier = [x[x < here] for x in (np.asarray(x, np.int64) for x in pdf["mine"])]
+            a, b = list_links(
+                pdf["id"].to_numpy(np.int64), pdf["n"].to_numpy(np.int64), sketches, threshold, side, earlier
+            )
+            return pd.DataFrame({"a": a, "b": b}, dtype="int64")
 
         for pdf in batches:
             v, lo, hi = (pdf[c].to_numpy() for c in ("v", "lo", "hi"))
@@ -251,10 +278,12 @@ def near_duplicates(
     n_hot = F.size(F.filter("lists", lambda x: x["m"] > hot))
     # with at least three quarters of its values rare, a class meets its partners in their lists
     covered = 4 * n_hot <= F.size("keys")
+    lists = F.when(covered, F.filter("lists", lambda x: x["m"] <= hot)).otherwise(F.col("lists"))
     entries = (
         heads.join(per_class, ["id", "digest"])
-        .select("id", "n", "sketch", F.explode(F.when(covered, F.filter("lists", lambda x: x["m"] <= hot)).otherwise(F.col("lists"))).alias("x"))
-        .select("id", "n", "sketch", "x.v", "x.m")
+        .withColumn("lists", lists)
+        .select("id", "n", "sketch", F.col("lists.v").alias("mine"), F.explode("lists").alias("x"))
+        .select("id", "n", "sketch", "mine", "x.v", "x.m")
     )
     subs = F.greatest(F.lit(1), F.ceil(F.col("m") / list_rows)).cast("int")
     own = F.pmod(F.xxhash64("id", "v"), subs).cast("int")
@@ -270,6 +299,7 @@ def near_duplicates(
             "id",
             "n",
             "sketch",
+            "mine",
         )
     )
     found = (
