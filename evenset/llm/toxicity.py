@@ -6,7 +6,7 @@ a document scores 1 - prod(1 - sentence score) (noisy-or). Only document labels
 sentence scores then locate the offending sentences.
 
 The model is fitted on the driver from a bounded sample: at most `sample_docs` labelled documents, the ones
-with the least hash of their id, each with at most its own words. Scoring reads every whole text.
+with the least hash of their id among those of at most `longest` characters. Scoring reads every whole text.
 
 Defined cases: a null, empty or wordless text has no sentence and scores 0; without both labels in the
 sample every score is 0; repeated rows score alike.
@@ -15,6 +15,7 @@ sample every score is 0; repeated rows score alike.
 from __future__ import annotations
 
 import re
+import sys
 from collections import Counter
 from collections.abc import Iterator
 
@@ -35,8 +36,8 @@ def word_features(word: str) -> tuple[str, ...]:
 
 def sentence_words(text: str) -> list[list[str]]:
     """Distinct features of each sentence that has any."""
-    found = (sorted({f for w in _TOKEN.findall(s) for f in word_features(w)}) for s in _SENTENCE.split(text.lower()))
-    return [x for x in found if x]
+    found = ({f for w in _TOKEN.findall(s) for f in word_features(w)} for s in _SENTENCE.split(text.lower()))
+    return [[sys.intern(f) for f in sorted(x)] for x in found if x]
 
 
 def fit_noisy_or(
@@ -130,10 +131,11 @@ def train_toxicity(
     label_col: str = "toxic",
     train_only=None,
     sample_docs: int = 6000,
-    sample_chars: int = 30_000_000,
+    sample_chars: int = 12_000_000,
+    longest: int = 8000,
 ) -> tuple[dict[str, float], float]:
-    """Fit on a bounded sample: the sample_docs labelled ids with the least hash, in that order up to
-    sample_chars characters in all."""
+    """Fit on a bounded sample: the sample_docs labelled ids with the least hash whose texts have at most
+    `longest` characters, in that order up to sample_chars characters in all."""
     known = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("double").alias("y"))
     known = known.where(F.col("id").isNotNull() & F.col("y").isNotNull())
     if train_only is not None:
@@ -142,6 +144,7 @@ def train_toxicity(
     chosen = known.withColumn("h", F.xxhash64("id")).orderBy("h", "id").limit(sample_docs)
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t")).where(F.col("t").isNotNull())
     size = F.length("t").cast("long")
+    texts = texts.where(size <= longest)
     sample = texts.join(F.broadcast(chosen), "id").select("h", "id", "y", "t", size.alias("n"))
     sample = keep_table(sample, "toxic-sample")
     ids = sample.select("h", "id", "n").orderBy("h", "id", "n").limit(2 * sample_docs).collect()
