@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from ..streaming import events
 from . import methods, relational
+from . import surface as surface  # registers its queries
 
 
 def queries() -> dict:
