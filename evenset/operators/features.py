@@ -34,7 +34,7 @@ def hash_embed(tiles: DataFrame, d: int = 64) -> DataFrame:
         for t in content:
             v = bigram_counts(t or "", d).astype(float)
             out.append(v / (np.linalg.norm(v) or 1.0))
-        return pd.Series(out)
+        return pd.Series(out, dtype=object)
 
     return tiles.select(F.col("tile_id").alias("point_id"), embed("content").alias("vec"))
 
@@ -127,7 +127,7 @@ def apply_matrix(points: DataFrame, matrix: np.ndarray, mean: np.ndarray | None
 
     @F.pandas_udf("array<double>")
     def project(vec: pd.Series) -> pd.Series:
-        return pd.Series(list((to_matrix(vec) - shift) @ matrix)) if len(vec) else pd.Series([], dtype=object)
+        return pd.Series(list((to_matrix(vec) - shift) @ matrix) if len(vec) else [], dtype=object)
 
     return points.select("point_id", project("vec").alias("vec"))
 

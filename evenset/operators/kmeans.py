@@ -123,7 +123,9 @@ def _partials(points: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, np.
                 sse += np.bincount(at, d, len(centroids))
                 np.add.at(sums, at, x)
         live = np.flatnonzero(mass)
-        yield pd.DataFrame({"node": live, "n": mass[live], "sse": sse[live], "s": list(sums[live])})
+        if len(live):
+            rows = pd.Series(list(sums[live]), dtype=object)
+            yield pd.DataFrame({"node": live, "n": mass[live], "sse": sse[live], "s": rows})
 
     parts = points.select("vec").mapInPandas(run, "node long, n double, sse double, s array<double>")
     dim = centroids.shape[1]
