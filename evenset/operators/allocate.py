@@ -9,7 +9,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.linalg import priority, uniform
+from ..functions.linalg import priority, sq_dist, uniform
+from ..sources.tables import staged
 
 
 def fill_level_bisect(sizes: list[int], budget: int) -> int:
@@ -142,20 +143,24 @@ def select_uniform(points: DataFrame, n: int, *, id_col: str = "point_id", seed:
 
 
 def draw_by_distance(assigned: DataFrame, per_leaf: int, within: str = "closest", seed: int = 17) -> DataFrame:
-    """Per node: closest or farthest points, random ones, or `spread` (farthest-point order)."""
+    """Per node: closest or farthest points, random ones, or `spread` (farthest-point order from the closest
+    point on, needs vec; one pass per draw, and only one vector per node travels)."""
     if within == "spread":
-        import numpy as np
-
-        def pick(pdf):
-            x = np.stack(pdf["vec"].to_numpy())
-            chosen = [int(pdf["dist2"].to_numpy().argmin())]
-            d = ((x - x[chosen[0]]) ** 2).sum(1)
-            while len(chosen) < min(per_leaf, len(x)):
-                chosen.append(int(d.argmax()))
-                d = np.minimum(d, ((x - x[chosen[-1]]) ** 2).sum(1))
-            return pdf.iloc[chosen][["point_id", "node", "dist2"]]
-
-        return assigned.groupBy("node").applyInPandas(pick, "point_id long, node long, dist2 double")
+        rest = staged(assigned.select("point_id", "node", "vec", "dist2", F.col("dist2").alias("__d")))
+        first = rest.groupBy("node").agg(F.min(F.struct("dist2", "point_id", "vec")).alias("s"))
+        out = None
+        for turn in range(per_leaf):
+            if turn:
+                far = F.max(F.struct("__d", (-F.col("point_id")).alias("k"), "point_id", "dist2", "vec"))
+                first = rest.where("__d > 0").groupBy("node").agg(far.alias("s"))
+            seeds = staged(first.select("node", "s.point_id", "s.dist2", "s.vec"))
+            one = seeds.select("point_id", "node", "dist2")
+            out = one if out is None else out.unionByName(one)
+            if turn + 1 < per_leaf:
+                near = sq_dist(F.col("vec"), F.col("__v"))
+                met = rest.join(seeds.select("node", F.col("vec").alias("__v")), "node")
+                rest = staged(met.withColumn("__d", F.least("__d", near) if turn else near).drop("__v"))
+        return out
     order = {"closest": F.col("dist2"), "farthest": F.col("dist2").desc(), "random": priority(seed, F.col("point_id"))}
     turn = Window.partitionBy("node").orderBy(order[within], "point_id")
     return assigned.withColumn("r", F.row_number().over(turn)).where(F.col("r") <= per_leaf).drop("r")

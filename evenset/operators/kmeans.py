@@ -53,6 +53,25 @@ def seed_parallel(points: DataFrame, k: int, seed: int = 1, rounds: int = 5, fac
     return plusplus(chosen, k, np.random.default_rng(seed), weights)
 
 
+def seed_passes(points: DataFrame, k: int, seed: int = 1, how: str = "race") -> tuple[list[int], np.ndarray]:
+    """Ids and vectors of k seeds, one pass over all points per seed.
+
+    farthest: the point farthest from the seeds so far. race: an exact D-squared draw over all points, as the
+    least of independent exponential times -ln(u) / d2 is drawn in proportion to d2; no prefix sums are needed."""
+    first = points.orderBy(priority(seed, F.col("point_id")), "point_id").select("point_id", "vec").first()
+    ids, vecs = [first["point_id"]], [first["vec"]]
+    for turn in range(k - 1):
+        far = assign(points, to_matrix(vecs)).where("dist2 > 0")
+        u = uniform(seed + 1 + turn, F.col("point_id")) + 0.5 / (1 << 32)
+        rank = -F.col("dist2") if how == "farthest" else -F.log(u) / F.col("dist2")
+        best = far.agg(F.min(F.struct(rank.alias("r"), "point_id")).alias("b")).first()["b"]
+        if best is None:
+            break
+        ids.append(best["point_id"])
+        vecs.append(points.where(F.col("point_id") == best["point_id"]).select("vec").first()["vec"])
+    return ids, to_matrix(vecs)
+
+
 def centroid_frame(spark, centroids: np.ndarray) -> DataFrame:
     rows = [(i, [float(x) for x in c]) for i, c in enumerate(centroids)]
     return spark.createDataFrame(rows, "node long, centroid array<double>")

@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from ..streaming import events
 from . import methods, relational
-from . import surface as surface  # registers its queries
+from . import extras as extras  # these register their queries
+from . import surface as surface
 
 
 def queries() -> dict:

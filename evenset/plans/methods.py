@@ -460,10 +460,11 @@ def _(spark, sf):
 
 @query(
     "mean_nn_distance",
-    f"WITH {_PTS} SELECT round(avg(sqrt(d)), 6) AS mean_nn FROM (SELECT p.vec_id, min({_D2}) AS d FROM p, p c WHERE p.vec_id < 60 AND c.vec_id < 60 AND p.vec_id <> c.vec_id GROUP BY 1) x",
+    f"WITH {_PTS}, l AS (SELECT label, i, avg(embedding[i]::DOUBLE) AS x FROM embeddings, unnest(range(1, 65)) AS u(i) GROUP BY ALL), m AS (SELECT label, list(x ORDER BY i) AS v FROM l GROUP BY label) "
+    f"SELECT round(avg(sqrt(d)), 6) AS mean_nn FROM (SELECT p.label, min({_D2}) AS d FROM m p, m c WHERE p.label <> c.label GROUP BY 1) x",
 )
 def _(spark, sf):
-    nodes = points_of(spark, sf).where("point_id < 60").select(F.col("point_id").alias("node"), F.col("vec").alias("centroid"))
+    nodes = label_means(points_of(spark, sf)).select(F.col("label").alias("node"), F.col("c").alias("centroid"))
     return metrics.mean_nn_distance(nodes).select(r("mean_nn").alias("mean_nn"))
 
 
@@ -486,10 +487,14 @@ def _(spark, sf):
     return metrics.balanced_accuracy(centroid_rule(spark, sf), "label", "pred").select(r("bacc").alias("bacc"))
 
 
+def label_means(p):
+    rows = p.select("label", F.posexplode("vec").alias("i", "x")).groupBy("label", "i").agg(F.avg("x").alias("x"))
+    return rows.groupBy("label").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("c"))
+
+
 def centroid_rule(spark, sf):
     p = points_of(spark, sf)
-    rows = p.select("label", F.posexplode("vec").alias("i", "x")).groupBy("label", "i").agg(F.avg("x").alias("x"))
-    c = rows.groupBy("label").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("c"))
+    c = label_means(p)
     best = p.crossJoin(F.broadcast(c.withColumnRenamed("label", "pred"))).groupBy("point_id", "label").agg(
         F.min(F.struct(sq_dist(F.col("vec"), F.col("c")), "pred")).alias("b")
     )
