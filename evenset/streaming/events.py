@@ -9,6 +9,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.linalg import to_matrix
+from ..operators import kmeans
 from ..sources.tables import table
 
 Q: dict = {}
@@ -96,3 +98,90 @@ SQL.update(
     stream_interval_join="SELECT a.event_id AS v, b.event_id AS p FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR",
     stream_quota="SELECT event_type, least(count(*), 100) AS admitted FROM events GROUP BY 1",
 )
+
+
+# Streams of points and restarts -------------------------------------------------------------------------------
+
+
+def late(spark, sf):
+    """Closed day windows over two runs from one checkpoint; the second run brings rows older than the
+    watermark of the first, and they are dropped."""
+    base = f"{spark.sparkContext.getConf().get('spark.checkpoint.dir') or '/tmp/evenset'}/late-{uuid.uuid4().hex}"
+    events = table(spark, sf, "events", cast_ntz=True).select("event_id", "ts")
+    inbox, out = f"{base}/in", f"{base}/out"
+    top = events.agg(F.max("ts")).first()[0]
+    for part in (events, events.where(F.col("ts") < F.lit(top) - F.expr("interval 5 days"))):
+        part.write.mode("append").parquet(inbox)
+        days = spark.readStream.schema(events.schema).parquet(inbox).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"))
+        counted = days.agg(F.count("*").alias("n")).select(_stamp("window.start").alias("start"), "n")
+        q = counted.writeStream.outputMode("append").format("parquet").trigger(availableNow=True)
+        q.option("checkpointLocation", f"{base}/progress").option("path", out).start().awaitTermination()
+    return spark.read.schema("start string, n long").parquet(out)
+
+
+def point_stream(spark, sf):
+    schema = spark.read.parquet(f"{sf}/embeddings.parquet").schema
+    raw = spark.readStream.schema(schema).parquet(f"{sf}/embeddings.parque[t]")
+    return raw.select(F.col("vec_id").alias("point_id"), F.transform("embedding", lambda x: x.cast("double")).alias("vec"))
+
+
+def _first_ten(spark, sf):
+    rows = table(spark, sf, "embeddings").where("vec_id < 10").orderBy("vec_id").select("embedding").collect()
+    return to_matrix([x[0] for x in rows])
+
+
+def route(spark, sf):
+    """Arriving points to the nearest node of a fixed level."""
+    return run_stream(kmeans.assign(point_stream(spark, sf), _first_ten(spark, sf)).select("point_id", "node"))
+
+
+def minibatch(spark, sf, decay: float = 0.9):
+    """Centroids as decayed means, a new version per micro-batch; returns the mass of the last version."""
+    c = _first_ten(spark, sf)
+    held = {"c": c, "mass": c[:, 0] * 0, "version": 0}
+
+    def update(batch: DataFrame, _: int) -> None:
+        sums, mass, _sse = kmeans._partials(batch, held["c"])
+        old = held["mass"] * decay
+        both = old + mass
+        moved = (held["c"] * old[:, None] + sums) / both.clip(1e-300)[:, None]
+        held["c"] = held["c"].copy()
+        held["c"][both > 0] = moved[both > 0]
+        held["mass"], held["version"] = both, held["version"] + 1
+
+    progress = f"{spark.sparkContext.getConf().get('spark.checkpoint.dir') or '/tmp/evenset'}/mini-{uuid.uuid4().hex}"
+    q = point_stream(spark, sf).writeStream.foreachBatch(update).option("checkpointLocation", progress)
+    q.trigger(availableNow=True).start().awaitTermination()
+    rows = [(i, float(m), held["version"]) for i, m in enumerate(held["mass"])]
+    return spark.createDataFrame(rows, "node long, mass double, version int")
+
+
+def least_seen(spark, sf, size: int = 10):
+    """Requests (events) are served the least-seen of `size` places of their cluster (event type). As service
+    goes round in turn, one counter per cluster is the whole state."""
+
+    def serve(key, frames: Iterator[pd.DataFrame], state):
+        used = state.get[0] if state.exists else 0
+        for f in frames:
+            at = range(used, used + len(f))
+            used += len(f)
+            yield pd.DataFrame({"event_type": key[0], "place": [j % size for j in at], "seen_before": [j // size for j in at]})
+        state.update((used,))
+
+    s = event_stream(spark, sf).groupBy("event_type").applyInPandasWithState(
+        serve, "event_type string, place long, seen_before long", "used long", "append", "NoTimeout"
+    )
+    return run_stream(s)
+
+
+_NODES = (
+    "SELECT vec_id AS point_id, arg_min(node, (d, node)) AS node FROM (SELECT p.vec_id, c.vec_id AS node, list_sum([(z[1]::DOUBLE - z[2]::DOUBLE) * (z[1]::DOUBLE - z[2]::DOUBLE) FOR z IN list_zip(p.embedding, c.embedding)]) AS d "
+    "FROM embeddings p, embeddings c WHERE c.vec_id < 10) x GROUP BY vec_id"
+)
+Q.update(stream_late=late, stream_route=route, stream_minibatch_kmeans=minibatch, stream_least_seen=least_seen)
+SQL.update(
+    stream_late="SELECT strftime(d, '%Y-%m-%d %H:%M:%S') AS start, n FROM (SELECT date_trunc('day', ts)::TIMESTAMP AS d, count(*) AS n FROM events GROUP BY 1) x WHERE d + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY",
+    stream_route=_NODES,
+    stream_minibatch_kmeans=f"SELECT node, count(*)::DOUBLE AS mass, 1 AS version FROM ({_NODES}) y GROUP BY node",
+    stream_least_seen="SELECT event_type, j % 10 AS place, j // 10 AS seen_before FROM (SELECT event_type, row_number() OVER (PARTITION BY event_type) - 1 AS j FROM events) x",
+)
