@@ -13,20 +13,38 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.linalg import priority
+from ..sources.tables import staged
 
 
-def global_ordinal(df: DataFrame, order: list, name: str = "ordinal", parts: int | None = None) -> DataFrame:
-    """Dense numbers in a global order without one task for all rows: range partitions and their offsets."""
+def _ranges(df: DataFrame, order: list, parts: int | None) -> tuple[DataFrame, list[str]]:
+    """Rows in range partitions, written once: range bounds come from a sample, so two runs of the same
+    exchange need not agree and partition numbers must be fixed before they are counted."""
     parts = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     cols = [f"__o{i}" for i in range(len(order))]
     keyed = df.withColumns(dict(zip(cols, order))).repartitionByRange(parts, *cols).sortWithinPartitions(*cols)
-    keyed = keyed.withColumn("__p", F.spark_partition_id()).withColumn("__m", F.monotonically_increasing_id())
+    return staged(keyed.withColumn("__p", F.spark_partition_id()).withColumn("__m", F.monotonically_increasing_id())), cols
+
+
+def global_ordinal(df: DataFrame, order: list, name: str = "ordinal", parts: int | None = None) -> DataFrame:
+    """Dense numbers in a global order without one task for all rows: range partitions and their offsets."""
+    keyed, cols = _ranges(df, order, parts)
     first = keyed.groupBy("__p").agg(F.count("*").alias("__n"), F.min("__m").alias("__first"))
     starts = first.withColumn("__start", F.coalesce(F.sum("__n").over(Window.orderBy("__p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     out = keyed.join(F.broadcast(starts), "__p")  # one row per partition
     return out.withColumn(name, F.col("__start") + F.col("__m") - F.col("__first")).drop("__p", "__m", "__n", "__first", "__start", *cols)
 
 
+def sum_before(df: DataFrame, order: list, value: str, name: str = "before", parts: int | None = None) -> DataFrame:
+    """Sum of `value` over all rows earlier in a global order (0 for the first), by range partitions and offsets."""
+    keyed, cols = _ranges(df, order, parts)
+    back = Window.unboundedPreceding, -1
+    sums = keyed.groupBy("__p").agg(F.sum(value).alias("__n"))
+    starts = sums.select("__p", F.coalesce(F.sum("__n").over(Window.orderBy("__p").rowsBetween(*back)), F.lit(0)).alias("__start"))
+    inside = F.coalesce(F.sum(value).over(Window.partitionBy("__p").orderBy("__m").rowsBetween(*back)), F.lit(0))
+    out = keyed.withColumn("__in", inside).join(F.broadcast(starts), "__p")
+    return out.withColumn(name, F.col("__start") + F.col("__in")).drop("__p", "__m", "__in", "__start", *cols)
+
+
 def plan_shuffled(subset: DataFrame, batch: int, iterations: int, seed: int = 17, mode: str = "epoch") -> DataFrame:
     """iteration, slot, point_id. epoch: fresh permutation per pass, cut into batches; replace: independent draws."""
     n = subset.count()

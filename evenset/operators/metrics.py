@@ -4,9 +4,11 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .batching import sum_before
+
 
 def tv_uniform(counts: DataFrame, universe: DataFrame, key: list[str], n: str = "n", by: list[str] | None = None) -> DataFrame:
     """Half the sum of |share - 1/k| over all k nodes of the universe; nodes without points count as share 0."""
@@ -84,13 +86,22 @@ def balanced_accuracy(df: DataFrame, truth: str, pred: str) -> DataFrame:
 
 
 def roc_auc(df: DataFrame, label: str, score: str) -> DataFrame:
-    """Share of (positive, negative) pairs in order, ties one half; works on counts per distinct score."""
+    """Share of (positive, negative) pairs in order, ties one half; works on counts per distinct score, added up
+    over range partitions."""
     per = df.groupBy(score).agg(F.sum(label).alias("p"), F.sum(1 - F.col(label)).alias("q"))
-    below = F.coalesce(F.sum("q").over(Window.orderBy(score).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    s = per.withColumn("won", F.col("p") * (below + F.col("q") / 2))
+    s = sum_before(per, [F.col(score)], "q").withColumn("won", F.col("p") * (F.col("before") + F.col("q") / 2))
     return s.agg((F.sum("won") / (F.sum("p") * F.sum("q"))).alias("auc"))
 
 
+def roc_auc_by(df: DataFrame, label: str, score: str, by: list[str], digits: int = 4) -> DataFrame:
+    """The same for many groups at once, scores in [0, 1] rounded to `digits`: at most 10^digits + 1 rows a group."""
+    per = df.groupBy(*by, F.round(score, digits).alias("__s")).agg(F.sum(label).alias("p"), F.sum(1 - F.col(label)).alias("q"))
+    earlier = Window.partitionBy(*by).orderBy("__s").rowsBetween(Window.unboundedPreceding, -1)
+    s = per.withColumn("won", F.col("p") * (F.coalesce(F.sum("q").over(earlier), F.lit(0)) + F.col("q") / 2))
+    pairs = F.sum("p") * F.sum("q")
+    return s.groupBy(*by).agg(F.when(pairs > 0, F.sum("won") / pairs).alias("auc"))
+
+
 def bootstrap_bacc(df: DataFrame, truth: str, pred: str, reps: int = 1000, seed: int = 1) -> DataFrame:
     """Mean and deviation of balanced accuracy over test sets drawn again. A replicate is a multinomial draw
     over the confusion cells, so only K x K counts travel."""
@@ -146,22 +157,25 @@ def share_score_corr(results: DataFrame, shares: DataFrame, on: list[str]) -> Da
     return results.join(shares, on).agg(F.corr("mean", "share").alias("corr"))
 
 
-def monte_carlo_auc(spark: SparkSession, bags: pd.DataFrame, fit_predict, runs: int = 20, test_fraction: float = 0.2, seed: int = 1) -> DataFrame:
-    """Random bag-level splits, stratified by label, one task per run. bags: bounded table of bag, label, and
-    what fit_predict(train, test) -> scores needs."""
+def monte_carlo_auc(scored: DataFrame, label: str = "label", score: str = "score", by: str = "task", run: str = "run") -> DataFrame:
+    """Mean and deviation of AUC over runs of held-out scores (by, run, label, score)."""
+    each = roc_auc_by(scored, label, score, [by, run])
+    return each.groupBy(by).agg(F.avg("auc").alias("mean"), F.stddev_samp("auc").alias("std"), F.count("auc").alias("runs"))
+
+
+def bootstrap_cells(cells: DataFrame, by: list[str], truth: str = "truth", pred: str = "pred", reps: int = 1000, seed: int = 1) -> DataFrame:
+    """Bootstrap of balanced accuracy for many confusion tables at once; one group is at most K x K rows."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        r = int(pdf["id"].iloc[0])
-        rng = np.random.default_rng([seed, r])
-        test = np.zeros(len(bags), bool)
-        for y in (0, 1):
-            rows = np.flatnonzero(bags["label"].to_numpy() == y)
-            test[rng.permutation(rows)[: max(1, round(test_fraction * len(rows)))]] = True
-        score = fit_predict(bags[~test], bags[test], r)
-        y = bags["label"].to_numpy()[test]
-        p, q = score[y == 1], score[y == 0]
-        auc = ((p[:, None] > q[None]).mean() + (p[:, None] == q[None]).mean() / 2) if len(p) and len(q) else np.nan
-        return pd.DataFrame({"run": [r], "auc": [float(auc)]})
-
-    each = spark.range(runs).repartition(runs, "id").groupBy("id").applyInPandas(run, "run long, auc double")
-    return each.agg(F.avg("auc").alias("mean"), F.stddev_samp("auc").alias("std"), F.count("*").alias("runs"))
+        pdf = pdf.sort_values([truth, pred])
+        rows, n = pd.factorize(pdf[truth])[0], pdf["n"].to_numpy()
+        hit = (pdf[truth] == pdf[pred]).to_numpy()
+        draws = np.random.default_rng(seed).multinomial(n.sum(), n / n.sum(), size=reps)
+        hot = np.eye(rows.max() + 1)[rows]
+        every, good = draws @ hot, (draws * hit) @ hot
+        recall = np.divide(good, every, out=np.full(every.shape, np.nan), where=every > 0)
+        acc = np.nanmean(recall, axis=1)
+        return pd.DataFrame({**{c: [pdf[c].iloc[0]] for c in by}, "mean": [acc.mean()], "std": [acc.std(ddof=1)], "tested": [int(n.sum())]})
+
+    schema = ", ".join([f"{c} string" for c in by] + ["mean double", "std double", "tested long"])
+    return cells.groupBy(*by).applyInPandas(run, schema)

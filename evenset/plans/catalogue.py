@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from ..streaming import events
 from . import methods, relational
-from . import extras as extras  # these register their queries
+from . import experiments as experiments  # these register their queries
+from . import extras as extras
 from . import surface as surface
 
 
