@@ -92,8 +92,9 @@ def handmade_features(tiles: DataFrame) -> DataFrame:
     )
 
 
-def pca_project(points: DataFrame, m: int) -> DataFrame:
-    """Projection on the m strongest directions; only d x d sums leave the partitions."""
+def pca_project(points: DataFrame, m: int, width: int | None = None) -> DataFrame:
+    """Projection on the m strongest directions; d x d sums leave the partitions and are added up before they
+    reach the driver. width: length of the vectors, looked up if not given."""
 
     def sums(batches):
         total = None
@@ -104,8 +105,10 @@ def pca_project(points: DataFrame, m: int) -> DataFrame:
         if total is not None:
             yield pd.DataFrame({"i": np.arange(len(total)), "row": list(total)})
 
-    rows = points.select("vec").mapInPandas(sums, "i int, row array<double>").collect()
-    d = max((r["i"] for r in rows), default=0) + 1
+    parts = points.select("vec").mapInPandas(sums, "i int, row array<double>")
+    d = (points.agg(F.max(F.size("vec"))).first()[0] if width is None else width) or 0
+    d = max(d, 0) + 1
+    rows = parts.groupBy("i").agg(F.array(*[F.sum(F.get("row", F.lit(j))) for j in range(d)]).alias("row")).collect()
     gram = np.zeros((d, d))
     for r in rows:
         gram[r["i"]] += r["row"]
@@ -130,31 +133,3 @@ def apply_matrix(points: DataFrame, matrix: np.ndarray, mean: np.ndarray | None
         return pd.Series(list((to_matrix(vec) - shift) @ matrix) if len(vec) else [], dtype=object)
 
     return points.select("point_id", project("vec").alias("vec"))
-
-
-def layout_2d(x: np.ndarray, n_neighbors=10, min_dist=0.1, epochs=150, seed=1) -> np.ndarray:
-    """Neighbour-graph layout of a bounded table (node centroids): kNN kernel, attraction and repulsion."""
-    m = len(x)
-    if m < 3:
-        return np.column_stack([np.arange(m, dtype=float), np.zeros(m)])
-    k = min(n_neighbors, m - 1)
-    d = np.sqrt(np.maximum(((x[:, None] - x[None]) ** 2).sum(-1), 0))
-    near = np.argsort(d + np.eye(m) * 1e9, axis=1)[:, :k]
-    w = np.zeros((m, m))
-    for i in range(m):
-        e = d[i, near[i]]
-        w[i, near[i]] = np.exp(-np.maximum(e - e[0], 0) / max(e.mean(), 1e-9))
-    w = w + w.T - w * w.T
-    rng = np.random.default_rng(seed)
-    u, s, _ = np.linalg.svd(x - x.mean(0), full_matrices=False)
-    y = (u[:, :2] * s[:2]) if u.shape[1] > 1 else np.column_stack([u[:, 0], np.zeros(m)])
-    y = 10 * y / (np.abs(y).max() or 1) + rng.normal(0, 1e-3, y.shape)
-    for epoch in range(epochs):
-        diff = y[:, None] - y[None]
-        q = (diff**2).sum(-1)
-        pull = w / (1 + q)
-        push = (1 - w) / ((min_dist + q) * (1 + q))
-        np.fill_diagonal(push, 0)
-        step = ((push - 2 * pull)[..., None] * diff).sum(1)
-        y += np.clip(step, -4, 4) * (1 - epoch / epochs) * 0.5
-    return y

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.linalg import dot, lloyd, priority, sq_dist, to_matrix
-from ..operators import allocate, batching, features, kmeans, metrics, tree
+from ..operators import allocate, batching, features, kmeans, metrics, projection, tree
 from ..sources.tables import VISIBLE, class_label, detect_regions, make_tiles, slides, staged, table, visible_text
 
 LEVELS = ["lang", "ls", "slide_id"]
@@ -661,7 +661,7 @@ def _(spark, sf):
 @query("layout_top_nodes")
 def _(spark, sf):
     t = built(spark, sf, "narrow")
-    y = features.layout_2d(t.centroids[-1])
+    y = projection.layout_2d(t.centroids[-1])
     xy = spark.createDataFrame([(i, float(a), float(b)) for i, (a, b) in enumerate(y)], "node long, x double, y double")
     sub = allocate.curate(paths_of(t), ["c4", "c3", "c2", "c1"], fraction=0.1)
     a = t.sizes(4).select("node", F.col("log_n").alias("log_pool"))
@@ -670,16 +670,41 @@ def _(spark, sf):
 
 @query("feature_cluster_ari")
 def _(spark, sf):
-    """Clusters of hand-made features against tree levels 4 and 3."""
+    """Clusters of hand-made features, all and by group, laid out in two dimensions, against tree levels 4 and 3.
+    The control (labels by hash) shows what chance gives."""
     t = built(spark, sf, "narrow")
-    f = features.handmade_features(detect_regions(doc_tiles(spark, sf)))
-    flat = f.select("tile_id", *[F.col(f"{g}.{c}").alias(c) for g, cs in features.GROUPS.items() for c in cs])
-    p = features.pca_project(features.vectorise(flat, "tile_id", flat.columns[1:]), 4)
-    of = kmeans.assign(p, kmeans.kmeans_fit(p, len(t.centroids[-1]), max_iter=5).centroids).select("point_id", F.col("node").alias("f"))
-    both = t.paths().join(of, "point_id")
-    return metrics.adjusted_rand(both, "f", "c4").select(F.lit(4).alias("level"), "ari").unionByName(
-        metrics.adjusted_rand(both, "f", "c3").select(F.lit(3).alias("level"), "ari")
-    )
+    paths, k = staged(t.paths()), len(t.centroids[-1])
+    f = staged(features.handmade_features(detect_regions(doc_tiles(spark, sf))))
+    groups, out = {"all": features.GROUPS, **{g: {g: cs} for g, cs in features.GROUPS.items()}}, None
+    for name, held in groups.items():
+        flat = f.select("tile_id", *[F.col(f"{g}.{c}").alias(c) for g, cs in held.items() for c in cs])
+        p = staged(projection.neighbour_layout(features.vectorise(flat, "tile_id", flat.columns[1:]), epochs=60))
+        of = kmeans.assign(p, kmeans.kmeans_fit(p, k, max_iter=5).centroids).select("point_id", F.col("node").alias("f"))
+        both = paths.join(of, "point_id")
+        tries = [(name, both)] + ([("control", both.withColumn("f", F.pmod(F.xxhash64("point_id"), F.lit(k))))] if name == "all" else [])
+        for label, rows in tries:
+            for level in (4, 3):
+                one = metrics.adjusted_rand(rows, "f", f"c{level}").select(F.lit(label).alias("features"), F.lit(level).alias("level"), "ari")
+                out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("composition_of_subsets")
+def _(spark, sf):
+    """Share of each tissue and of cohort B inside it, and classes touched: pool, label-balanced and tree subset."""
+    info = slides(spark, sf)
+    label = class_label(info).select("slide_id", "class", "cohort", "tissue")
+    pool = staged(tile_paths(spark, sf).select("point_id", "slide_id").join(label, "slide_id"))
+    ids = paths_of(built(spark, sf, "narrow"))
+    subsets = {
+        "full": pool, "label": allocate.curate_even(pool, "class", pool.count() // 10),
+        "narrow": pool.join(allocate.curate(ids, ["c4", "c3", "c2", "c1"], fraction=0.1).select("point_id"), "point_id", "left_semi"),
+    }
+    out = None
+    for name, sub in subsets.items():
+        one = metrics.composition(sub, "tissue", classes="class").withColumn("subset", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("kmeans_lineitem_scale")
