@@ -48,13 +48,20 @@ def nearest(points: np.ndarray, centroids: np.ndarray, block: int = 8192) -> tup
 def plusplus(points: np.ndarray, k: int, rng: np.random.Generator, weights: np.ndarray | None = None) -> np.ndarray:
     """D-squared seeding: each next seed drawn in proportion to its distance from those chosen."""
     w = np.ones(len(points)) if weights is None else weights
+    size = (points**2).sum(axis=1)
+    floor = 1e-12 * max(float(size.max(initial=0)), 1e-300)  # below it lies rounding, not distance
+
+    def away(i: int) -> np.ndarray:
+        d = size - 2 * (points @ points[i]) + size[i]
+        return np.where(d > floor, d, 0.0)
+
     chosen = [int(rng.choice(len(points), p=w / w.sum()))]
-    d = ((points - points[chosen[0]]) ** 2).sum(axis=1)
+    d = away(chosen[0])
     while len(chosen) < min(k, len(points)):
         mass = d * w
         pick = int(rng.choice(len(points), p=mass / mass.sum())) if mass.sum() > 0 else int(np.setdiff1d(np.arange(len(points)), chosen)[0])
         chosen.append(pick)
-        d = np.minimum(d, ((points - points[pick]) ** 2).sum(axis=1))
+        d = np.minimum(d, away(pick))
     return points[chosen]
 
 

@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.linalg import lloyd, nearest, plusplus, priority, sq_dist, to_matrix, uniform
+from ..sources.tables import staged
 
 BROADCAST_BYTES = 256 << 20
 
@@ -140,7 +141,9 @@ def _partials(points: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, np.
                 at, d = nearest(x, centroids)
                 mass += np.bincount(at, minlength=len(centroids))
                 sse += np.bincount(at, d, len(centroids))
-                np.add.at(sums, at, x)
+                order = np.argsort(at, kind="stable")
+                first = np.flatnonzero(np.diff(at[order], prepend=-1))
+                sums[at[order][first]] += np.add.reduceat(x[order], first)
         live = np.flatnonzero(mass)
         if len(live):
             rows = pd.Series(list(sums[live]), dtype=object)
@@ -190,5 +193,6 @@ def resample_refine(points: DataFrame, model: KMeansModel, *, rounds: int = 1, p
     """Refit on the points nearest to each centroid, which flattens dense regions, then go on from there."""
     for _ in range(rounds):
         flat = closest_per_node(assign(points, model.centroids), per_cluster).select("point_id")
-        model = kmeans_fit(points.join(flat, "point_id", "left_semi"), len(model.centroids), init=model.centroids, max_iter=max_iter)
+        sample = staged(points.join(flat, "point_id", "left_semi"))
+        model = kmeans_fit(sample, len(model.centroids), init=model.centroids, max_iter=max_iter)
     return model

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.linalg import lloyd, nearest, plusplus
-from ..sources.tables import staged
+from ..sources.tables import spread, staged
 from .kmeans import assign, centroid_frame, kmeans_fit, resample_refine
 
 # Ratios between neighbouring levels of the two published tree shapes.
@@ -129,7 +129,7 @@ def build_tree(
 ) -> ClusterTree:
     """Leaves by distributed K-means; upper levels over centroids, each counting once whatever its population
     (centroid_weight="population" is the contrast)."""
-    points = staged(points)
+    points = staged(spread(points))
     model = kmeans_fit(points, counts[0], seed=seed, max_iter=max_iter)
     if resample_rounds:
         model = resample_refine(points, model, rounds=resample_rounds)

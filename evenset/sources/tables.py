@@ -31,6 +31,13 @@ def staged(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """More partitions where there are fewer than cores, so that iterations over a small input (one file, one
+    row group) do not run in one task; large inputs pass unchanged."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores, "point_id") if df.rdd.getNumPartitions() < cores else df
+
+
 def check_vectors(df: DataFrame, vec_col: str, mode: str = "fail") -> DataFrame:
     """Reject null vectors and null, NaN or infinite components: fail, drop, or count (adds vec_ok)."""
     good = F.coalesce(
