@@ -7,8 +7,11 @@ successors already ruled out are excluded; bytes never seen share what is left e
 `score_pretrained` trains on a part of the corpus and scores every document with the frozen trie. Nothing
 that grows is collected or broadcast: documents are dealt into blocks, each block asks once for every
 distinct word and (context, byte) pair it holds, the questions meet in buckets (pairs by the last two bytes
-of the context, so a bucket holds whole branches of the trie), and the answers go back to the blocks. Only
-the two upper levels of the trie, at most 256 x 256 counts, travel to every task.
+of the context, so a bucket holds whole branches of the trie), and the answers go back to the blocks. Where
+there are more than `fan_in` blocks, a bucket's questions are first summed up in parts of `fan_in` blocks, and
+those in parts of `fan_in` parts, so no task holds more than `fan_in` tables of distinct keys, and the summed
+table answers part by part. Only the two upper levels of the trie, at most 256 x 256 counts, travel to every
+task.
 
 `score_adaptive` starts an empty trie for each document and updates it after every byte.
 
@@ -265,6 +268,20 @@ def pair_scores(asked: np.ndarray, pairs: np.ndarray, counts: np.ndarray, upper:
     return score
 
 
+def _sum_words(asked: list[list[bytes]], counts: list[np.ndarray]) -> dict[bytes, int]:
+    total: dict[bytes, int] = {}
+    for words, n in zip(asked, counts):
+        for w, c in zip(words, n.tolist()):
+            total[w] = total.get(w, 0) + c
+    return total
+
+
+def _sum_pairs(asked: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(distinct pairs in order, place of every asked pair among them, sums)."""
+    distinct, inverse = np.unique(np.concatenate(asked), return_inverse=True)
+    return distinct, inverse, np.bincount(inverse, np.concatenate(counts), len(distinct))
+
+
 def _answer(order: int, buckets: int, upper: np.ndarray):
     """Answers of one bucket to all blocks that asked it; block -1 carries the distinct trained words."""
 
@@ -274,17 +291,13 @@ def _answer(order: int, buckets: int, upper: np.ndarray):
         blocks = list(pdf["block"])
         counts = [_numbers(x, 6).astype(np.int64) for x in pdf["counts"]]
         if bucket < buckets:
-            total: dict[bytes, int] = {}
             asked = [x.split(b" ") for x in pdf["keys"]]
-            for words, n in zip(asked, counts):
-                for w, c in zip(words, n.tolist()):
-                    total[w] = total.get(w, 0) + c
+            total = _sum_words(asked, counts)
             out = [_planes(np.fromiter((total[w] for w in x), np.uint64, len(x)), 6) for x in asked]
             known = sum(c > 0 for c in total.values())
             return pd.DataFrame({"bucket": bucket, "block": [*blocks, -1], "found": [*out, b""], "n": [*[0] * len(blocks), known]})
         keys = [_numbers(x, order + 1) for x in pdf["keys"]]
-        distinct, inverse = np.unique(np.concatenate(keys), return_inverse=True)
-        n = np.bincount(inverse, np.concatenate(counts), len(distinct))
+        distinct, inverse, n = _sum_pairs(keys, counts)
         score = pair_scores(distinct, distinct[n > 0], n[n > 0], upper, order).astype(np.float32)
         cuts = np.cumsum([0, *map(len, keys)])
         out = [score[inverse[a:b]].tobytes() for a, b in zip(cuts, cuts[1:])]
@@ -293,6 +306,95 @@ def _answer(order: int, buckets: int, upper: np.ndarray):
     return run
 
 
+def _merge(order: int, buckets: int):
+    """The tables of one bucket and part as one: distinct keys and their sums."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        bucket = int(pdf["bucket"].iloc[0])
+        counts = [_numbers(x, 6).astype(np.int64) for x in pdf["counts"]]
+        if bucket < buckets:
+            total = _sum_words([x.split(b" ") for x in pdf["keys"]], counts)
+            words = sorted(total)
+            keys, sums = b" ".join(words), np.fromiter((total[w] for w in words), np.uint64, len(words))
+        else:
+            pairs, _, sums = _sum_pairs([_numbers(x, order + 1) for x in pdf["keys"]], counts)
+            keys = _planes(pairs, order + 1)
+        return pd.DataFrame({"bucket": bucket, "part": pdf["part"].iloc[:1], "keys": [keys], "counts": [_planes(sums, 6)]})
+
+    return run
+
+
+def _model(order: int, buckets: int, upper: np.ndarray):
+    """What the summed tables answer: words keep their counts, pairs get their scores; n: trained words."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            for bucket, keys, raw in zip(pdf["bucket"], pdf["keys"], pdf["counts"]):
+                sums = _numbers(raw, 6).astype(np.int64)
+                known = 0
+                if bucket < buckets:
+                    found, known = raw, int((sums > 0).sum())
+                else:
+                    pairs = _numbers(keys, order + 1)
+                    found = pair_scores(pairs, pairs[sums > 0], sums[sums > 0], upper, order).astype(np.float32).tobytes()
+                yield pd.DataFrame({"bucket": [bucket], "keys": [keys], "found": [found], "n": [known]})
+
+    return run
+
+
+def _reply(order: int, buckets: int):
+    """Answers to the blocks of one part from its bucket's model."""
+
+    def run(asked: pd.DataFrame, model: pd.DataFrame) -> pd.DataFrame:
+        if len(asked) == 0:
+            return pd.DataFrame({"bucket": [], "block": [], "found": []})
+        bucket, keys, found = int(asked["bucket"].iloc[0]), model["keys"].iloc[0], model["found"].iloc[0]
+        if bucket < buckets:
+            count = dict(zip(keys.split(b" "), _numbers(found, 6).tolist()))
+            each = [x.split(b" ") for x in asked["keys"]]
+            out = [_planes(np.fromiter((count[w] for w in x), np.uint64, len(x)), 6) for x in each]
+        else:
+            known, score = _numbers(keys, order + 1), np.frombuffer(found, np.float32)
+            out = [score[np.searchsorted(known, _numbers(x, order + 1))].tobytes() for x in asked["keys"]]
+        return pd.DataFrame({"bucket": bucket, "block": asked["block"], "found": out})
+
+    return run
+
+
+def _answers(asked: DataFrame, blocks: int, fan_in: int, order: int, buckets: int, upper: np.ndarray) -> tuple[DataFrame, int]:
+    """(answers by bucket and block, distinct trained words)."""
+    if blocks <= fan_in:
+        made = asked.groupBy("bucket").applyInPandas(
+            _answer(order, buckets, upper), "bucket int, block int, found binary, n long"
+        )
+        answers = keep_table(made, "answers")
+        kinds = answers.where("block = -1").agg(F.sum("n")).first()[0] or 0
+        return answers.where("block >= 0"), kinds
+    asked = keep_table(asked.withColumn("part", F.expr(f"block div {fan_in}")), "questions")
+    tables, parts = asked.select("bucket", "part", "keys", "counts"), -(-blocks // fan_in)
+    groups = parts
+    while True:
+        tables = tables.groupBy("bucket", "part").applyInPandas(
+            _merge(order, buckets), "bucket int, part long, keys binary, counts binary"
+        )
+        if parts == 1:
+            break
+        tables, parts = tables.withColumn("part", F.expr(f"part div {fan_in}")), -(-parts // fan_in)
+    model = keep_table(
+        tables.mapInPandas(_model(order, buckets, upper), "bucket int, keys binary, found binary, n long"), "model"
+    )
+    kinds = model.agg(F.sum("n")).first()[0] or 0
+    dealt = model.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))).withColumn(
+        "part", F.col("part").cast("long")
+    )
+    made = (
+        asked.groupBy("bucket", "part")
+        .cogroup(dealt.groupBy("bucket", "part"))
+        .applyInPandas(_reply(order, buckets), "bucket int, block int, found binary")
+    )
+    return keep_table(made, "answers"), kinds
+
+
 def _settle(order: int, buckets: int):
     """Scores of one block's documents from the answers."""
 
@@ -364,6 +466,7 @@ def score_pretrained(
     held_out=None,
     order: int = 5,
     block_bytes: int = 12 << 20,
+    fan_in: int = 256,
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row. Rows where
     held_out(id column) holds are scored only, the others also train."""
@@ -388,16 +491,10 @@ def score_pretrained(
     asked = src.groupBy("block").applyInPandas(
         _ask(order, buckets), "bucket int, block int, keys binary, counts binary"
     )
-    answers = keep_table(
-        asked.groupBy("bucket").applyInPandas(
-            _answer(order, buckets, upper), "bucket int, block int, found binary, n long"
-        ),
-        "answers",
-    )
-    kinds = answers.where("block = -1").agg(F.sum("n")).first()[0] or 0
+    answers, kinds = _answers(asked, blocks, fan_in, order, buckets, upper)
     scored = (
         src.groupBy("block")
-        .cogroup(answers.where("block >= 0").groupBy("block"))
+        .cogroup(answers.groupBy("block"))
         .applyInPandas(
             _settle(order, buckets),
             "doc_id string, held_out boolean, n_tokens long, n_known long, log_sum double, score double",

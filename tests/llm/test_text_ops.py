@@ -54,6 +54,14 @@ def test_pretrained_equals_literal_trie(spark, order):
         assert got.n_known[i] == sum(count[w] > 0 for w in words + [ppm.END])
 
 
+def test_parts_of_blocks_score_as_one(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").where("doc_id < 40")
+    options = {"held_out": lambda i: id_remainder(i, 10) == 0, "block_bytes": 10000}
+    whole = ppm.score_pretrained(docs, **options).toPandas().sort_values("doc_id", ignore_index=True)
+    parts = ppm.score_pretrained(docs, fan_in=3, **options).toPandas().sort_values("doc_id", ignore_index=True)
+    assert len(whole) == docs.count() and whole.equals(parts)
+
+
 def test_trie_is_a_distribution():
     trie = ppm.ByteTrie(3)
     trie.train(b"abracadabra abra cad".split())
