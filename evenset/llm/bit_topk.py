@@ -157,7 +157,7 @@ def quantise(vectors: DataFrame, *, id_col: str = "vec_id", vec_col: str = "embe
     sound = F.forall(wide, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf"))))
     rows = vectors.where(F.col(vec_col).isNotNull() & F.col(id_col).isNotNull())
     rows = rows.where(F.coalesce(sound, F.lit(False)) & (F.size(vec_col) > 0))
-    codes = F.transform(wide, lambda x: F.floor(x * scale).cast("int"))
+    codes = F.transform(wide, lambda x: F.floor(x * scale).cast("long"))
     return rows.select(F.col(id_col).cast("long").alias("vec_id"), codes.alias("codes"))
 
 

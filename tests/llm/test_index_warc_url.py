@@ -48,6 +48,11 @@ def test_top_k_corner_rows(spark):
     got = bit_topk.top_k(codes, codes.where("vec_id % 50 = 0")).orderBy("query_id", "rank").collect()
     assert [tuple(r) for r in got if r["query_id"] == 50] == [(50, 1, 0, 32768), (50, 2, 5, 32768), (50, 3, 6, 32768)]
     assert bit_topk.top_k(codes.limit(0), codes.limit(0)).count() == 0
+    far = spark.createDataFrame([(0, [1e8, 0.5]), (1, [0.5, 0.5]), (2, [-1e8, 1.0])], "vec_id long, embedding array<float>")
+    far = bit_topk.quantise(far)
+    got = [tuple(r) for r in bit_topk.top_k(far, far.where("vec_id = 1")).orderBy("rank").collect()]
+    big = 256 * 10**8
+    assert got == [(1, 1, 0, 128 * big + 128 * 128), (1, 2, 2, -128 * big + 128 * 256)]
 
 
 def test_warc_round_trip(spark):
