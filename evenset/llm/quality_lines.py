@@ -4,9 +4,10 @@ Every line is normalised (ASCII lower case, digits to 0, white space squeezed) a
 distinct documents that hold it are counted. Lines above the limit are boilerplate and go; a document that
 loses too many of its words is rejected as depleted.
 
-Copies count once: a document's family is the least hash among its lines, so exact copies, and near copies
-that keep that line, add one to a line's count. Without this, every line of a page copied a thousand times
-would look like boilerplate and the page itself would vanish.
+Exact copies count once: a document's family is the digest of the whole set of its normalised lines, so only
+documents with the same set of lines add one to a line's count together. Without this, every line of a page
+copied a thousand times would look like boilerplate and the page itself would vanish. Near copies differ in
+their sets, so each of them counts.
 
 Defined cases: a null or empty text has no words and fails the base rules; null hosts are one host; repeated
 rows get equal results; lines without a word are never counted.
@@ -56,6 +57,11 @@ def repeated_words(codes: np.ndarray, window: int = WINDOW) -> int:
 _DIGITS = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ123456789", b"abcdefghijklmnopqrstuvwxyz000000000")
 
 
+def line_set_digest(hashes: list[int]) -> int | None:
+    """One number for the set of lines, whatever their order and repeats; None without a line."""
+    return xxhash.xxh64_intdigest(np.unique(np.array(hashes, np.int64)).tobytes()) - (1 << 63) if hashes else None
+
+
 def profile_text(text: str) -> tuple:
     """(n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, family, line hashes, words per line)."""
     raw = text.encode("utf-8", "surrogatepass")
@@ -80,7 +86,7 @@ def profile_text(text: str) -> tuple:
         sum(text.count(c) for c in SYMBOLS),
         dup,
         repeated_words(codes),
-        min(hashes, default=None),
+        line_set_digest(hashes),
         hashes,
         sizes,
     )
@@ -118,7 +124,7 @@ def line_quality(
 ) -> DataFrame:
     """Verdict per row: base counts, words lost to boilerplate lines, and kept.
 
-    max_docs: a line in more distinct documents (families) of a host is boilerplate.
+    max_docs: a line in more distinct documents of a host (exact copies counting once) is boilerplate.
     max_lost: a document that loses more than this share of its words is depleted.
     """
     host = F.when(F.col(host_col).isNull(), "0").otherwise(F.concat(F.lit("1"), F.col(host_col)))

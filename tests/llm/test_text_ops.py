@@ -167,6 +167,21 @@ def test_boilerplate_goes_and_copies_stay(spark):
     assert got.loc[list(range(100, 160)), "kept"].all() and got.loc[[300, 301], "kept"].all()
 
 
+def test_documents_that_share_their_least_line_count_one_by_one(spark):
+    rng = random.Random(6)
+    line = lambda n: " ".join("".join(rng.choices("abcdefgh", k=7)) for _ in range(n))
+    hash_of = lambda x: quality_lines.profile_text(x)[6][0]
+    banner, footer = sorted((line(15) for _ in range(400)), key=hash_of)[:2]
+    own = [x for x in (line(9) for _ in range(300)) if hash_of(x) > hash_of(footer)][:40]
+    rows = [(i, f"{banner}\n{x}\n{footer}", "h") for i, x in enumerate(own)]
+    # the same set of lines in another order, or with one repeated, is a copy
+    page = [line(10) for _ in range(5)]
+    rows += [(100 + i, "\n".join(rng.sample(page, 5) + page[: i % 2]), "h") for i in range(60)]
+    got = quality_lines.line_quality(spark.createDataFrame(rows, SCHEMA)).toPandas().set_index("doc_id")
+    assert len(own) == 40 and (got.loc[list(range(40)), "n_lost_words"] == 30).all() and not got.loc[list(range(40)), "kept"].any()
+    assert (got.loc[list(range(100, 160)), "n_lost_words"] == 0).all()
+
+
 def test_quality_corner_rows(spark):
     got = quality_lines.line_quality(odd(spark)).toPandas()
     assert len(got) == len(ODD) and not got["kept"].any()
