@@ -93,6 +93,39 @@ def test_region_tasks_cover_all_items_and_split_whole_units(spark):
     assert {x for t in items["t"] for x in t} == {"r1_points", "r2_language", "r3_source", "r4_cohort", "r5_role", "r6_page_language", "r7_quality", "r8_benchmark"}
 
 
+def test_training_takes_one_pass_of_the_pool(spark):
+    from evenset.plans.methods import tile_paths
+
+    sf = "/root/testdata/sf0.01"
+    pool = tile_paths(spark, sf).withColumn("c", F.col("lang"))
+    small = pool.where("pmod(xxhash64(point_id), 10) = 0")
+    n, length = pool.count(), experiments.pool_iterations(spark, sf)
+    assert length == -(-n // 32) == 352
+    full = experiments.plan_for("full", pool, None, length).toPandas()
+    assert len(full) == 32 * length and full["point_id"].nunique() == n
+    for cluster in (None, "c"):
+        few = experiments.plan_for("few", small, cluster, length).toPandas()
+        assert len(few) == 32 * length and few["point_id"].nunique() == small.count()
+
+
+def test_learner_folds_over_chunks(spark):
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(90, 64))
+    vecs = spark.createDataFrame([(i, [float(a) for a in v]) for i, v in enumerate(x)], "point_id long, vec array<double>")
+    picks = {name: rng.integers(0, 90, (25, 6)) for name in "abc"}
+    rows = [(s, t, j, int(p)) for s, plan in picks.items() for t, b in enumerate(plan) for j, p in enumerate(b)]
+    plans = spark.createDataFrame(rows, "setting string, iteration long, slot int, point_id long").repartition(5)
+    size = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    spark.conf.set(size, "7")
+    try:
+        got = experiments.learn_settings(plans, vecs)
+    finally:
+        spark.conf.unset(size)
+    assert set(got) == set(picks)
+    for name, plan in picks.items():
+        assert np.allclose(got[name], experiments.learning.oja([x[b] for b in plan], 64))
+
+
 def test_benchmark_overlap_matches_brute_force(spark):
     from evenset.plans.methods import doc_tiles
 
