@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -14,21 +15,22 @@ from .kmeans import assign, centroid_frame, kmeans_fit, resample_refine
 
 # Ratios between neighbouring levels of the two published tree shapes.
 NARROW, WIDE = (100.0, 100.0, 350 / 62), (35.0, 10.0, 10000 / 2048)
-# Level counts per number of tiles for the given scale factors.
-SHAPES = {
-    "narrow": {0.001: (45, 20, 10, 5), 0.01: (225, 60, 16, 7), 0.1: (1157, 200, 35, 7)},
-    "wide": {0.001: (45, 32, 24, 16), 0.01: (225, 120, 64, 32), 0.1: (1157, 400, 128, 32)},
-}
+# Fewest top nodes that leave something to balance and to stratify by, where the leaves allow as many.
+LEAST_TOP = {"narrow": 7, "wide": 32}
 
 
 def level_counts(n: int, depth: int = 4, leaf_fraction: float = 0.01, top: int = 62, shape: str = "geometric") -> list[int]:
-    """Clusters per level, leaves first."""
+    """Clusters per level, leaves first: a fixed share of n.
+
+    narrow, wide: the published ratios between levels, from the n at which they leave LEAST_TOP top nodes; below
+    it all ratios are taken to one power, so that so many (at most half the leaves) remain instead of one."""
     leaves = max(1, round(n * leaf_fraction))
     if shape != "geometric":
-        out = [float(leaves)]
-        for ratio in (NARROW if shape == "narrow" else WIDE)[: depth - 1]:
-            out.append(out[-1] / ratio)
-        return [max(1, round(x)) for x in out]
+        ratios = np.array((NARROW if shape == "narrow" else WIDE)[: depth - 1])
+        least = min(LEAST_TOP[shape], max(1, leaves // 2))
+        if leaves < least * ratios.prod():
+            ratios = ratios ** (np.log(leaves / least) / np.log(ratios.prod()))
+        return [max(1, round(x)) for x in leaves / np.cumprod([1.0, *ratios])]
     step = (min(top, leaves) / leaves) ** (1 / max(depth - 1, 1))
     return [max(1, round(leaves * step**i)) for i in range(depth)]
 
@@ -125,11 +127,12 @@ def drop_empty(centroids: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.nd
 
 
 def build_tree(
-    points: DataFrame, counts: list[int], *, seed: int = 1, max_iter: int = 5, resample_rounds: int = 0, centroid_weight: str = "one"
+    points: DataFrame, counts: list[int] | Callable[[int], list[int]], *, seed: int = 1, max_iter: int = 5, resample_rounds: int = 0, centroid_weight: str = "one"
 ) -> ClusterTree:
     """Leaves by distributed K-means; upper levels over centroids, each counting once whatever its population
-    (centroid_weight="population" is the contrast)."""
+    (centroid_weight="population" is the contrast). counts may be a function of the number of points."""
     points = staged(spread(points))
+    counts = counts(points.count()) if callable(counts) else counts
     model = kmeans_fit(points, counts[0], seed=seed, max_iter=max_iter)
     if resample_rounds:
         model = resample_refine(points, model, rounds=resample_rounds)
@@ -153,4 +156,4 @@ def build_tree(
     return ClusterTree(centroids, parents, leaf_of)
 
 
-__all__ = ["ClusterTree", "build_tree", "centroid_frame", "level_counts", "load_tree", "NARROW", "WIDE", "SHAPES"]
+__all__ = ["ClusterTree", "build_tree", "centroid_frame", "level_counts", "load_tree", "NARROW", "WIDE", "LEAST_TOP"]

@@ -611,17 +611,12 @@ def _(spark, sf):
 # Trees, settings and learners (checked by invariants in tests) ------------------------------------------------
 
 
-def scale_of(sf: str) -> float:
-    name = sf.rstrip("/").rsplit("sf", 1)[-1]
-    return float(name) if name in ("0.001", "0.01", "0.1") else 0.1
-
-
 def tile_points(spark, sf):
     return features.hash_embed(detect_regions(doc_tiles(spark, sf)))
 
 
 def built(spark, sf, shape):
-    return tree.build_tree(tile_points(spark, sf), list(tree.SHAPES[shape][scale_of(sf)]), resample_rounds=1)
+    return tree.build_tree(tile_points(spark, sf), lambda n: tree.level_counts(n, shape=shape), resample_rounds=1)
 
 
 def paths_of(t):

@@ -159,6 +159,28 @@ def test_level_counts():
     assert tree.level_counts(350_000_000, shape="wide") == [3_500_000, 100_000, 10_000, 2048]
 
 
+@pytest.mark.parametrize("shape,top", [("narrow", 7), ("wide", 32)])
+def test_level_counts_grow_with_the_points(shape, top):
+    for n in (11_254, 115_693, 2_000_000, 40_000_000, 350_000_000):
+        got = tree.level_counts(n, shape=shape)
+        assert got[0] == round(n / 100) and got[-1] >= top and got == sorted(set(got), reverse=True)
+    assert tree.level_counts(2266, shape=shape)[-1] == min(top, 11) and tree.level_counts(0, shape=shape) == [1] * 4
+
+
+def test_tree_sizes_do_not_follow_the_folder_name(spark, tmp_path):
+    from evenset.plans import methods
+
+    other = tmp_path / "any_name"
+    other.mkdir()
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    docs.write.parquet(str(other / "documents.parquet"))
+    n = methods.tile_points(spark, SF).count()
+    for sf in (SF, str(other)):
+        t = methods.built(spark, sf, "narrow")
+        want = tree.level_counts(n, shape="narrow")
+        assert all(0 < len(c) <= k for c, k in zip(t.centroids, want)) and len(t.centroids[0]) >= 0.8 * n / 100
+
+
 def test_embedding_forms_agree(spark):
     from evenset.sources.tables import make_tiles, table
 
