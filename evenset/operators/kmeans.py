@@ -183,6 +183,37 @@ def kmeans_fit(
     return KMeansModel(c, history)
 
 
+def block_neighbours(points: DataFrame, queries: DataFrame, k: int, *, query_block: int = 256, row_block: int = 4096) -> DataFrame:
+    """seed, point_id, dist2: the k nearest other points of every query. Query blocks meet row blocks, each pair of
+    blocks keeps k a query; work is queries x rows."""
+    nq, nr = (max(1, -(-df.count() // size)) for df, size in ((queries, query_block), (points, row_block)))
+
+    def block(n: int):
+        return F.pmod(F.xxhash64("point_id"), F.lit(n)).cast("int")
+
+    def every(n: int):
+        return F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+
+    q = queries.select("point_id", "vec", block(nq).alias("qb")).withColumn("rb", every(nr))
+    p = points.select("point_id", "vec", block(nr).alias("rb")).withColumn("qb", every(nq))
+
+    def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        if len(left) and len(right):
+            x, y, ids = to_matrix(left["vec"]), to_matrix(right["vec"]), right["point_id"].to_numpy()
+            d = np.zeros((len(x), len(y)))
+            for j in range(x.shape[1]):  # summed in the order of components, as in SQL
+                d += (y[None, :, j] - x[:, None, j]) ** 2
+            for seed, row in zip(left["point_id"], d):
+                order = np.lexsort((ids, row))
+                out += [(seed, ids[i], row[i]) for i in order[ids[order] != seed][:k]]
+        return pd.DataFrame(out, columns=["seed", "point_id", "dist2"])
+
+    near = q.groupBy("qb", "rb").cogroup(p.groupBy("qb", "rb")).applyInPandas(best, "seed long, point_id long, dist2 double")
+    turn = Window.partitionBy("seed").orderBy("dist2", "point_id")
+    return near.withColumn("r", F.row_number().over(turn)).where(F.col("r") <= k).drop("r")
+
+
 def closest_per_node(assigned: DataFrame, per_node: int) -> DataFrame:
     """The per_node points nearest to each centroid."""
     turn = Window.partitionBy("node").orderBy("dist2", "point_id")

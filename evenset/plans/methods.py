@@ -397,6 +397,13 @@ def _(spark, sf):
     return pairs.withColumn("r", F.row_number().over(turn)).where("r <= 5").select("seed", "point_id")
 
 
+@query("retrieve_neighbours_hundredths", SQL["retrieve_neighbours"].replace("c.vec_id < 10", "c.vec_id % 100 = 0"))
+def _(spark, sf):
+    """Every row whose id is divisible by 100 as query, against all rows."""
+    p = points_of(spark, sf)
+    return kmeans.block_neighbours(p, p.where("point_id % 100 = 0"), 5).select("seed", "point_id")
+
+
 # Measures ---------------------------------------------------------------------------------------------------
 
 

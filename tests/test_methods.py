@@ -133,6 +133,22 @@ def test_assignment_strategies_agree(spark):
     assert sum(coarse[i] == want[i] for i in want) >= 0.95 * len(want)
 
 
+def test_neighbours_of_every_hundredth_row(spark):
+    import __spark_entry__ as e
+
+    rows = spark.read.parquet(f"{SF}/embeddings.parquet").orderBy("vec_id").collect()
+    ids, x = np.array([r["vec_id"] for r in rows]), np.array([r["embedding"] for r in rows], float)
+    want = set()
+    for i in np.flatnonzero(ids % 100 == 0):
+        order = np.lexsort((ids, ((x - x[i]) ** 2).sum(1)))
+        want |= {(int(ids[i]), int(j)) for j in ids[order[order != i][:5]]}
+    got = e.queries()["retrieve_neighbours_hundredths"](spark, SF).collect()
+    assert len(got) == len(want) == 5 * int((ids % 100 == 0).sum()) and {tuple(r) for r in got} == want
+    p = spark.createDataFrame([(int(i), [float(a) for a in v]) for i, v in zip(ids, x)], "point_id long, vec array<double>")
+    small = kmeans.block_neighbours(p, p.where("point_id % 100 = 0"), 5, query_block=2, row_block=60)
+    assert {(r["seed"], r["point_id"]) for r in small.collect()} == want
+
+
 def test_inertia_never_rises(spark):
     _, df = points(spark)
     for init in ("plusplus", "parallel", "random"):
