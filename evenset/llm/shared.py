@@ -47,6 +47,21 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def join_weighted(
+    left: DataFrame, right: DataFrame, keys: list[str], weight: str, total: int, parts: int = 512, floor: int = 1000
+) -> DataFrame:
+    """Inner join of rows with a table of one row per key, whose column `weight` says how many rows of left hold
+    the key; total: all rows of left, or more. Keys with over total / parts rows (and over `floor`) are fewer than
+    `parts`; they are broadcast, so no task gets a heavy key, and all others meet in a shuffle."""
+    heavy = F.col(weight) > max(total // parts, floor)
+    hot = right.where(heavy)
+    if not hot.take(1):
+        return left.join(right, keys)
+    met = left.join(F.broadcast(hot), keys)
+    rest = left.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(right.where(~heavy), keys)
+    return met.unionByName(rest)
+
+
 def text_blocks(docs: DataFrame, text_col: str, block_bytes: int) -> int:
     """How many hash blocks of about block_bytes of text the table makes; one cheap scan."""
     total = docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0

@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from evenset.llm import bit_topk, url_templates, warc
+from evenset.llm import bit_topk, shared, url_templates, warc
 
 
 def best(values, ids, query, own, k):
@@ -119,6 +119,44 @@ def test_url_templates_reject_by_purity(spark):
     assert url_templates.judge_urls(pages, rules=many).exceptAll(out).count() == 0
 
 
+def test_url_rules_do_not_depend_on_their_number(spark):
+    # equally long rules, one rule with both verdicts, and a rule without a path
+    rules = (("allow", "a.com/b"), ("block", "com/b/x"), ("block", "b.org/k"), ("allow", "b.org/k"), ("block", "c.net"))
+    rows = [(1, "http://a.com/b/xx"), (2, "http://b.org/k"), (3, "http://c.net"), (4, "http://w.c.net/z"), (5, "http://xc.net/z")]
+    pages = spark.createDataFrame(rows, "page_id long, url string")
+    for extra in (0, 5, 1000):
+        more = rules + tuple(("block", f"x{i}.org/a") for i in range(extra))
+        got = {r["page_id"]: (r["rule"], r["verdict"]) for r in url_templates.judge_urls(pages, rules=more).collect()}
+        assert got == {1: ("a.com/b", "allow"), 2: ("b.org/k", "allow"), 3: ("c.net", "block"), 4: ("c.net", "block"), 5: (None, "allow")}
+
+
+def test_url_tree_is_deep_and_keeps_constants(spark):
+    deep = "/".join("k" * (i % 7 + 1) for i in range(400))
+    rules = tuple(("block", f"h.org/{deep}/spam/{i}") for i in range(1, 8)) + tuple(("block", f"w.org/es/{i}") for i in range(1, 8))
+    rows = [(i, f"http://h.org/{deep}/{'spam' if i % 2 else 'good'}/{i}") for i in range(100)]
+    # forty first segments, one of them blocked and frequent
+    rows += [(1002 + i, f"http://w.org/{'es' if i % 3 else 'x' + chr(97 + i % 40 // 26) + chr(97 + i % 26)}/{i}") for i in range(300)]
+    rows += [(5000, "http://long.org/" + "/".join("abcdefghij" for _ in range(20000)))]
+    rows += [(9000 + i, "http://same.org/p/q") for i in range(5)]
+    pages = spark.createDataFrame(rows, "page_id long, url string")
+    got = {r["page_id"]: r for r in url_templates.judge_urls(pages, rules=rules).collect()}
+    assert len(got) == len(rows)
+    free = {i: r["verdict"] for i, r in got.items() if r["rule"] is None}
+    for i, v in free.items():
+        bad = (i < 1000 and i % 2) or (1002 <= i < 1302 and i % 3)
+        assert v == ("block" if bad else "allow"), got[i]
+    assert any(i < 1000 and i % 2 for i in free) and any(1002 <= i < 1302 and i % 3 for i in free)
+    assert len({got[9000 + i]["template"] for i in range(5)}) == 1
+
+
+def test_hot_keys_join_alike(spark):
+    left = spark.range(3000).select(F.when(F.col("id") < 2000, 7).otherwise(F.col("id")).alias("k"), "id")
+    right = left.groupBy("k").agg(F.count("*").alias("w"))
+    got = shared.join_weighted(left, right, ["k"], "w", 3000, floor=10)
+    assert "BroadcastHashJoin" in got._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, left.join(right, "k").collect()))
+
+
 def test_pipeline(spark):
     import corpus_pipeline as pipe
 
