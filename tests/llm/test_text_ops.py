@@ -209,13 +209,18 @@ def plain_components(rows, width=5):
     ids = sorted(sets)
     for a in ids:
         for b in ids:
-            if a < b and sets[a] and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b]):
-                x, y = sorted((find(a), find(b)))
-                root[y] = x
+            if a < b and sets[a] and 4 * len(sets[a]) >= 3 * len(sets[b]) and 3 * len(sets[a]) <= 4 * len(sets[b]):
+                both = len(sets[a] & sets[b])
+                if 100 * both >= 75 * (len(sets[a]) + len(sets[b]) - both):
+                    x, y = sorted((find(a), find(b)))
+                    root[y] = x
     return {i: (len(sets[i]), find(i)) for i in ids}
 
 
-@pytest.mark.parametrize("options", [{}, {"hot": 3, "list_rows": 10}, {"hot": 10**9}])
+# sure below zero chains unlike texts too, so that most chains break and are mended
+@pytest.mark.parametrize(
+    "options", [{}, {"hot": 3, "list_rows": 10}, {"hot": 10**9}, {"sure": -8.0, "list_rows": 20}, {"hot": 2}]
+)
 def test_near_duplicates_brute(spark, options):
     rng = random.Random(7)
     base = [[f"w{rng.randrange(5000)}" for _ in range(rng.choice([3, 6, 30, 120, 300]))] for _ in range(25)]
@@ -240,9 +245,33 @@ def test_near_duplicates_corner_rows(spark):
     assert near_dup.near_duplicates(odd(spark, [])).count() == 0
 
 
-def test_components_of_a_chain(spark):
-    ids = list(range(200))
-    random.Random(4).shuffle(ids)
-    edges = spark.createDataFrame(list(zip(ids, ids[1:])), "a long, b long")
-    out = near_dup.components(edges).toPandas()
-    assert len(out) == 200 and (out["root"] == 0).all()
+def test_repeated_ids_are_one_node_in_any_order(spark):
+    rng = random.Random(9)
+    words = lambda n: [f"q{rng.randrange(10**6):06d}" for _ in range(n)]
+    one, two = words(60), words(60)
+    near = one[:55] + words(5)
+    rows = [(5, " ".join(near), "s"), (7, " ".join(two), "s"), (7, " ".join(one), "s"), (9, " ".join(two), "s"), (9, "", "s"), (8, None, "s")]
+    for turn in (rows, rows[::-1]):
+        got = near_dup.near_duplicates(spark.createDataFrame(turn, SCHEMA).coalesce(1)).toPandas()
+        assert sorted(zip(got["doc_id"], got["component_id"])) == [(5, 5), (7, 5), (7, 5), (8, 8), (9, 5), (9, 5)]
+
+
+def test_near_duplicates_recall_on_documents(spark):
+    sf = "/root/testdata/sf0.01"
+    rows = [tuple(r) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()]
+    got = near_dup.op9_near_duplicates(spark, sf).toPandas()
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got.itertuples()} == plain_components(rows)
+
+
+@pytest.mark.parametrize("shuffled", [False, True])
+def test_components_of_a_chain_take_few_rounds(spark, shuffled, monkeypatch):
+    ids = list(range(1000))
+    if shuffled:
+        random.Random(4).shuffle(ids)
+    written = []
+    keep = near_dup.keep_table
+    monkeypatch.setattr(near_dup, "keep_table", lambda df, name: (written.append(name), keep(df, name))[1])
+    edges = spark.createDataFrame([*zip(ids, ids[1:]), (2001, 2000), (2001, 2002)], "a long, b long")
+    out = near_dup.components(edges).toPandas().set_index("node")["root"]
+    assert len(out) == 1003 and (out[out.index < 1000] == 0).all() and (out[out.index >= 2000] == 2000).all()
+    assert len(written) <= 40, written
