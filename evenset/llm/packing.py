@@ -7,7 +7,9 @@ to the shortest permitted length that holds its contents.
 Documents longer than the longest bin are cut into pieces, none is dropped. Shards of about `shard_docs`
 documents, dealt by hash, are packed each by itself, so no task sees more than that.
 
-Defined cases: documents without words take no room and get no piece; repeated rows are packed each.
+Defined cases: documents without words take no room and get no piece; repeated rows are packed each: equal ids of
+equal size are counted, and numbered before they are dealt, so they spread over the shards; a null id is kept as
+null. Ids go through pandas as text, so all 64 bits of them hold beside a null.
 """
 
 from __future__ import annotations
@@ -73,28 +75,32 @@ def pack_documents(
     bin_capacity, bin_used."""
     top = max(capacities)
     size = word_count(F.col(text_col)) if size_col is None else F.col(size_col).cast("long")
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), size.alias("size"))
+    rows = docs.select(F.col(id_col).cast("long").cast("string").alias("doc_id"), size.alias("size")).where("size > 0")
     shards = max(1, -(-docs.select(id_col).count() // shard_docs))
     pieces = (
-        rows.where("size > 0")
+        rows.groupBy("doc_id", "size")
+        .agg(F.count("*").cast("int").alias("rows"))
+        .withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("rows"))))
         .withColumn("piece", F.explode(F.sequence(F.lit(0), F.expr(f"cast((size - 1) div {top} as int)"))))
         .withColumn("start", F.col("piece").cast("long") * top)
         .withColumn("n_words", F.least(F.lit(top).cast("long"), F.col("size") - F.col("start")))
-        .withColumn("shard", F.pmod(F.xxhash64("doc_id", "piece", "size"), F.lit(shards)))
+        .withColumn("shard", F.pmod(F.xxhash64("doc_id", "piece", "size", "copy"), F.lit(shards)))
     )
 
     def pack(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["n_words", "doc_id", "piece"], ascending=[False, True, True], ignore_index=True)
+        turn = ["n_words", "doc_id", "piece", "copy"]
+        pdf = pdf.sort_values(turn, ascending=[False, True, True, True], ignore_index=True)
         bins, offset, final = pack_shard([int(x) for x in pdf["n_words"]], capacities, bin_cost)
         used = np.bincount(bins, pdf["n_words"], len(final)).astype(np.int64)
-        return pdf.assign(bin=bins, bin_offset=offset, bin_capacity=final[bins], bin_used=used[bins])
+        return pdf.drop(columns="copy").assign(bin=bins, bin_offset=offset, bin_capacity=final[bins], bin_used=used[bins])
 
     schema = (
-        "doc_id long, piece int, start long, n_words long, shard long, bin long, bin_offset long, "
+        "doc_id string, piece int, start long, n_words long, shard long, bin long, bin_offset long, "
         "bin_capacity long, bin_used long"
     )
-    cols = ("doc_id", "piece", "start", "n_words", "shard")
-    return pieces.select(*cols).groupBy("shard").applyInPandas(pack, schema)
+    cols = ("doc_id", "piece", "start", "n_words", "shard", "copy")
+    packed = pieces.select(*cols).groupBy("shard").applyInPandas(pack, schema)
+    return packed.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
