@@ -10,7 +10,8 @@ Queries are blocks too: every block of queries meets every block of rows by an e
 so neither side is ever collected or broadcast.
 
 Defined cases: null vectors, and vectors with null or non-finite components or of a length that is not the
-most frequent one, take no part; ties go to the smaller id; a row is never its own query's result.
+most frequent one (of equally frequent ones the shortest), take no part; of rows that share an id only the one
+of the least vector does; a null id takes no part; ties go to the smaller id; a row is never its own query's result.
 """
 
 from __future__ import annotations
@@ -201,19 +202,27 @@ def top_k(
     return ranked.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
-def op3_bit_sliced_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = quantise(read_table(spark, sf_dir, "embeddings"))
+def one_length(rows: DataFrame) -> DataFrame:
+    """Quantised rows of the most frequent length, one for each id; written once, for both sides of the search."""
     sizes = rows.groupBy(F.size("codes").alias("n")).count().orderBy(F.desc("count"), "n").limit(1).collect()
-    rows = keep_table(rows.where(F.size("codes") == (sizes[0]["n"] if sizes else 0)), "codes")
+    rows = rows.where(F.size("codes") == (sizes[0]["n"] if sizes else 0))
+    return keep_table(rows.groupBy("vec_id").agg(F.min("codes").alias("codes")), "codes")
+
+
+def op3_bit_sliced_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = one_length(quantise(read_table(spark, sf_dir, "embeddings")))
     return top_k(rows, rows.where("vec_id % 50 = 0"))
 
 
 OP3_SQL = """
-WITH v AS (
-  SELECT vec_id, [floor(256 * CAST(x AS DOUBLE)) FOR x IN embedding] AS c
-  FROM embeddings WHERE embedding IS NOT NULL AND len([x FOR x IN embedding IF x IS NULL OR NOT isfinite(x)]) = 0),
+WITH w AS (
+  SELECT vec_id, [CAST(floor(256 * CAST(x AS DOUBLE)) AS BIGINT) FOR x IN embedding] AS c FROM embeddings
+  WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len([x FOR x IN embedding IF x IS NULL OR NOT isfinite(x)]) = 0),
+v AS (
+  SELECT vec_id, min(c) AS c FROM w
+  WHERE len(c) = (SELECT n FROM (SELECT len(c) AS n, count(*) AS k FROM w WHERE len(c) > 0 GROUP BY 1) x ORDER BY k DESC, n LIMIT 1) GROUP BY 1),
 s AS (
-  SELECT q.vec_id AS query_id, r.vec_id AS vec_id, CAST(list_inner_product(q.c, r.c) AS BIGINT) AS score
+  SELECT q.vec_id AS query_id, r.vec_id AS vec_id, CAST(list_inner_product([CAST(x AS DOUBLE) FOR x IN q.c], [CAST(x AS DOUBLE) FOR x IN r.c]) AS BIGINT) AS score
   FROM v q JOIN v r ON q.vec_id <> r.vec_id WHERE q.vec_id % 50 = 0),
 t AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank FROM s)
 SELECT query_id, rank, vec_id, score FROM t WHERE rank <= 5
