@@ -111,14 +111,23 @@ def mark_revisits(pages: DataFrame, *, min_bytes: int = 100) -> DataFrame:
     )
     # only digests that occur more than once and the least id travel; the rest needs no partner
     copies = (
-        rows.where(F.col("payload_bytes") >= min_bytes)
+        rows.select("page_id", "payload_bytes", "payload_digest")
+        .where(F.col("payload_bytes") >= min_bytes)
         .groupBy("payload_digest")
         .agg(F.min("page_id").alias("first_id"), F.count("*").alias("n"))
         .where("n > 1")
-        .select("payload_digest", "first_id")
     )
-    first = F.when(~F.col("page_id").eqNullSafe(F.col("first_id")), F.col("first_id"))
-    return rows.join(copies, "payload_digest", "left").withColumn("refers_to", first).drop("first_id")
+    copies = keep_table(copies, "warc-copies")
+    # digests of more than a 512th of the rows, at most 512 of them, are broadcast; their rows then go anywhere
+    limit = max(copies.agg(F.sum("n")).first()[0] or 0, 1 << 19) // 512
+    hot = copies.where(F.col("n") > limit).select("payload_digest", F.col("first_id").alias("hot_id"), F.lit(True).alias("hot"))
+    cold = copies.where(F.col("n") <= limit).select(F.col("payload_digest").alias("met"), "first_id")
+    rows = rows.join(F.broadcast(hot), "payload_digest", "left")
+    met = F.when(F.col("hot"), F.concat(F.lit("-"), F.xxhash64("page_id").cast("string"))).otherwise(F.col("payload_digest"))
+    rows = rows.withColumn("met", met).join(cold, "met", "left")
+    first_id = F.when(F.col("hot"), F.col("hot_id")).otherwise(F.col("first_id"))
+    first = F.when(~F.col("page_id").eqNullSafe(first_id), first_id)
+    return rows.withColumn("refers_to", first).select(*pages.columns, "payload_bytes", "payload_digest", "refers_to")
 
 
 def write_archives(pages: DataFrame, base: str, *, records_per_file: int = 20000) -> DataFrame:
@@ -234,7 +243,7 @@ WITH p AS (
   FROM pages),
 f AS (SELECT payload_digest, min(page_id) AS first_id FROM p WHERE payload_bytes >= 100 GROUP BY 1)
 SELECT page_id, CAST(payload_bytes AS BIGINT) AS payload_bytes, payload_digest,
-  CASE WHEN first_id IS NULL OR first_id = page_id THEN 'response' ELSE 'revisit' END AS record_type,
-  CASE WHEN first_id <> page_id THEN first_id END AS refers_to
+  CASE WHEN first_id IS NULL OR first_id IS NOT DISTINCT FROM page_id THEN 'response' ELSE 'revisit' END AS record_type,
+  CASE WHEN first_id IS DISTINCT FROM page_id THEN first_id END AS refers_to
 FROM p LEFT JOIN f USING (payload_digest)
 """
