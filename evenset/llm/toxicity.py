@@ -9,7 +9,7 @@ The model is fitted on the driver from a bounded sample: at most `sample_docs` l
 with the least hash of their id among those of at most `longest` characters. Scoring reads every whole text.
 
 Defined cases: a null, empty or wordless text has no sentence and scores 0; without both labels in the
-sample every score is 0; repeated rows score alike.
+sample every score is 0; repeated rows score alike, and an id that occurs more than once trains with its least text.
 """
 
 from __future__ import annotations
@@ -46,9 +46,9 @@ def fit_noisy_or(
     *,
     min_docs: int = 3,
     min_lean: float = 4.0,
-    epochs: int = 120,
+    epochs: int = 300,
     rate: float = 0.3,
-    l2: float = 3e-5,
+    l2: float = 3e-6,
 ) -> tuple[dict[str, float], float]:
     """Weights of features and the bias, by Adam on the noisy-or likelihood. Only features in at least min_docs
     toxic documents, and in min_lean standard deviations more of them than chance puts there, get a weight:
@@ -143,21 +143,14 @@ def train_toxicity(
     known = known.groupBy("id").agg(F.max("y").alias("y"))
     chosen = known.withColumn("h", F.xxhash64("id")).orderBy("h", "id").limit(sample_docs)
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t")).where(F.col("t").isNotNull())
-    size = F.length("t").cast("long")
-    texts = texts.where(size <= longest)
-    sample = texts.join(F.broadcast(chosen), "id").select("h", "id", "y", "t", size.alias("n"))
-    sample = keep_table(sample, "toxic-sample")
-    ids = sample.select("h", "id", "n").orderBy("h", "id", "n").limit(2 * sample_docs).collect()
-    total, last = 0, None
-    for r in ids:
-        if total + r["n"] > sample_chars and last is not None:
-            break
-        total, last = total + r["n"], r["h"]
-    if last is None:
-        return {}, -30.0
-    rows = sample.where(F.col("h") <= last).orderBy("h", "id", F.md5("t"))
+    texts = texts.where(F.length("t") <= longest)
+    # at most sample_docs rows are broadcast; an id that occurs again and again gives one text
+    sample = texts.join(F.broadcast(chosen), "id").groupBy("h", "id", "y").agg(F.min("t").alias("t"))
+    sample = keep_table(sample.withColumn("n", F.length("t").cast("long")), "toxic-sample")
+    sizes = [r["n"] for r in sample.select("h", "id", "n").orderBy("h", "id").collect()]  # at most sample_docs rows
+    take = max(1, int(np.searchsorted(np.cumsum(sizes), sample_chars, "right")))
     bags, ys = [], []
-    for r in rows.select("y", "t").toLocalIterator():
+    for r in sample.orderBy("h", "id").limit(take).select("y", "t").toLocalIterator():
         bags.append(sentence_words(r["t"]))
         ys.append(1.0 if r["y"] > 0 else 0.0)
     return fit_noisy_or(bags, np.array(ys))
