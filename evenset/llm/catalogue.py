@@ -25,5 +25,6 @@ def oracle_sql() -> dict[str, str]:
         "op3_bit_sliced_topk": bit_topk.OP3_SQL,
         "op4_warc": warc.OP4_SQL,
         "op5_license_digests": license_scan.OP5_SQL,
+        "op7_line_quality": quality_lines.OP7_SQL,
         "op8_url_templates": url_templates.OP8_SQL,
     }

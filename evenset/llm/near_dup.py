@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import join_weighted, keep_table, read_table
+from .shared import join_weighted, keep_table, read_table, spare_name
 
 SKETCH = 128
 _MULT = np.uint64(0x9E3779B97F4A7C15)
@@ -402,8 +402,9 @@ def near_duplicates(
 
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """One document of each group, columns unchanged."""
-    gone = near_duplicates(docs, **options).where("not kept").select(F.col("doc_id").alias("__gone"))
-    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
+    name, id_col = spare_name(docs, "gone"), options.get("id_col", "doc_id")
+    gone = near_duplicates(docs, **options).where("not kept").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(gone, F.col(id_col) == F.col(name), "left_anti")
 
 
 def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import keep_table, read_table
+from .shared import join_weighted, keep_table, read_table, spare_name
 
 # Symbols counted by the base rules.
 SYMBOLS = "#*$%&|<>"
@@ -140,18 +140,16 @@ def line_quality(
         "row_key", "host", "family", F.explode(F.arrays_zip("line_hash", "line_words")).alias("x")
     ).select("row_key", "host", "family", "x.line_hash", "x.line_words")
     common = (
-        lines.select("host", "line_hash", "family")
-        .distinct()
+        lines.groupBy("host", "line_hash", "family")
+        .agg(F.count("*").alias("n"))
         .groupBy("host", "line_hash")
-        .agg(F.count("*").alias("holders"))
+        .agg(F.count("*").alias("holders"), F.sum("n").alias("n"))
         .where(F.col("holders") > max_docs)
     )
+    common = keep_table(common.drop("holders"), "common-lines")
+    total = profile.agg(F.sum(F.size("line_hash"))).first()[0] or 0
     # repeated rows share a row_key: their lines are counted once for each, so take the mean
-    lost = (
-        lines.join(common, ["host", "line_hash"])
-        .groupBy("row_key")
-        .agg(F.sum("line_words").alias("lost"))
-    )
+    lost = join_weighted(lines, common, ["host", "line_hash"], "n", total).groupBy("row_key").agg(F.sum("line_words").alias("lost"))
     copies = profile.groupBy("row_key").agg(F.count("*").alias("copies"))
     lost = lost.join(copies, "row_key").select("row_key", (F.col("lost") / F.col("copies")).cast("long").alias("lost"))
     base_failed = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
@@ -176,7 +174,8 @@ def keep_good(docs: DataFrame, **options) -> DataFrame:
     id_col, text_col, host_col = (
         options.get(k, v) for k, v in (("id_col", "doc_id"), ("text_col", "text"), ("host_col", "source"))
     )
-    good = line_quality(docs, **options).where("kept").select(F.col("row_key").alias("__row_key")).distinct()
+    name = spare_name(docs, "row_key")
+    good = line_quality(docs, **options).where("kept").select(F.col("row_key").alias(name)).distinct()
     host = F.when(F.col(host_col).isNull(), "0").otherwise(F.concat(F.lit("1"), F.col(host_col)))
     key = F.concat_ws(
         ":",
@@ -184,8 +183,31 @@ def keep_good(docs: DataFrame, **options) -> DataFrame:
         F.md5(F.coalesce(F.col(text_col), F.lit(""))),
         host,
     )
-    return docs.withColumn("__row_key", key).join(good, "__row_key", "left_semi").drop("__row_key")
+    return docs.withColumn(name, key).join(good, name, "left_semi").select(*docs.columns)
 
 
 def op7_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_quality(read_table(spark, sf_dir, "documents")).drop("row_key")
+
+
+# Windows, lines and sets of lines as they are, without hashes; Java's and Python's ASCII white space alike.
+OP7_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS i, doc_id, source AS host, coalesce(text, '') AS t FROM documents),
+w AS (SELECT i, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS w, t FROM d),
+b AS (SELECT i, len(w) AS n_words, length(array_to_string(w, '')) AS word_chars, length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS n_symbols FROM w),
+g AS (SELECT i, p, array_to_string(w[p:p + 7], ' ') AS x FROM w, unnest(range(1, len(w) - 6)) AS u(p)),
+k AS (SELECT i, p, count(*) OVER (PARTITION BY i, x) AS n FROM g),
+q AS (SELECT i, count(DISTINCT p + o) AS n_repeat_words FROM k, unnest(range(0, 8)) AS u(o) WHERE n > 1 GROUP BY i),
+l AS (SELECT i, x, [translate(y, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ123456789', 'abcdefghijklmnopqrstuvwxyz000000000') FOR y IN regexp_extract_all(x, '[^\x20\x09-\x0D]+')] AS ws
+  FROM d, unnest(string_split(t, chr(10))) AS u(x)),
+m AS (SELECT i, x, len(ws) AS n, array_to_string(ws, ' ') AS line FROM l WHERE len(ws) > 0),
+u AS (SELECT i, count(*) - count(DISTINCT x) AS n_dup_lines, array_to_string(list_sort(list(DISTINCT line)), chr(10)) AS family FROM m GROUP BY i),
+c AS (SELECT host, line FROM m JOIN d USING (i) JOIN u USING (i) GROUP BY host, line HAVING count(DISTINCT family) > 20),
+z AS (SELECT m.i, sum(m.n) AS lost FROM m JOIN d ON m.i = d.i JOIN c ON c.line = m.line AND c.host IS NOT DISTINCT FROM d.host GROUP BY m.i),
+r AS (SELECT doc_id, n_words, word_chars, n_symbols, coalesce(n_dup_lines, 0) AS n_dup_lines, coalesce(n_repeat_words, 0) AS n_repeat_words, coalesce(lost, 0) AS lost
+  FROM d JOIN b USING (i) LEFT JOIN q USING (i) LEFT JOIN u USING (i) LEFT JOIN z USING (i))
+SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(word_chars AS BIGINT) AS word_chars, CAST(n_symbols AS BIGINT) AS n_symbols,
+  CAST(n_dup_lines AS BIGINT) AS n_dup_lines, CAST(n_repeat_words AS BIGINT) AS n_repeat_words,
+  n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base_failed, CAST(lost AS BIGINT) AS n_lost_words,
+  NOT (n_words < 20 OR 100 * n_repeat_words > 30 * n_words) AND lost <= 0.6::DOUBLE * n_words AS kept FROM r
+"""

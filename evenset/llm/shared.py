@@ -5,7 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 # Fixed value: what the contracts call a word.
@@ -33,6 +33,13 @@ def keep_table(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def spare_name(df: DataFrame, base: str) -> str:
+    """A column name that the table does not have."""
+    while base in df.columns:
+        base += "_"
+    return base
+
+
 def word_count(text: Column) -> Column:
     """Words of the whole text; null counts as empty."""
     return F.regexp_count(F.coalesce(text, F.lit("")), F.lit(WORD)).cast("long")
@@ -62,6 +69,26 @@ def join_weighted(
     return met.unionByName(rest)
 
 
+def sums_before(df: DataFrame, order: list[Column], values: dict[str, Column], parts: int | None = None) -> DataFrame:
+    """+ per name the sum of a value over all rows that come earlier in a global order (0 for the first row).
+
+    Rows go to range partitions, which are written once, since range bounds come from a sample and two runs need not
+    agree; only one row per partition meets in a single window."""
+    spark = df.sparkSession
+    parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    keys = {f"__order{i}": c for i, c in enumerate(order)}
+    keyed = df.withColumns({**keys, **{f"__{n}": c for n, c in values.items()}})
+    keyed = keyed.repartitionByRange(parts, *keys).sortWithinPartitions(*keys)
+    keyed = keep_table(keyed.withColumn("__part", F.spark_partition_id()).withColumn("__at", F.monotonically_increasing_id()), "ranges")
+    earlier = Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
+    per = keyed.groupBy("__part").agg(*[F.sum(f"__{n}").alias(n) for n in values])
+    per = per.select("__part", *[F.coalesce(F.sum(n).over(earlier), F.lit(0)).alias(f"__base_{n}") for n in values])
+    inside = Window.partitionBy("__part").orderBy("__at").rowsBetween(Window.unboundedPreceding, -1)
+    out = keyed.withColumns({n: F.coalesce(F.sum(f"__{n}").over(inside), F.lit(0)) for n in values})
+    out = out.join(F.broadcast(per), "__part")  # one row per range
+    return out.select(*df.columns, *[(F.col(n) + F.col(f"__base_{n}")).alias(n) for n in values])
+
+
 def text_blocks(docs: DataFrame, text_col: str, block_bytes: int) -> int:
     """How many hash blocks of about block_bytes of text the table makes; one cheap scan."""
     total = docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0

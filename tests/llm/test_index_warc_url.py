@@ -55,6 +55,15 @@ def test_top_k_corner_rows(spark):
     assert got == [(1, 1, 0, 128 * big + 128 * 128), (1, 2, 2, -128 * big + 128 * 256)]
 
 
+def test_repeated_ids_and_odd_lengths_take_part_once(spark):
+    rows = [(50, [1.0, 0.5]), (50, [1.0, 0.5]), (50, [1.5, 0.5]), (1, [1.0, 1.0]), (1, [0.5, 1.0]), (2, [1.0, 0.0]), (3, [1.0]), (None, [2.0, 2.0]), (4, [])]
+    data = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    for turn in (data.coalesce(1), data.orderBy(F.desc("embedding")).coalesce(1)):
+        codes = bit_topk.one_length(bit_topk.quantise(turn))
+        got = [tuple(r) for r in bit_topk.top_k(codes, codes.where("vec_id % 50 = 0")).orderBy("rank").collect()]
+        assert got == [(50, 1, 2, 65536), (50, 2, 1, 65536 // 2 + 32768)] or got == [(50, 1, 1, 65536), (50, 2, 2, 65536)]
+
+
 def test_warc_round_trip(spark):
     long = "é漢" * 100_000
     rows = [(5, "http://a/1", "x" * 99), (6, "http://a/2", "x" * 99), (9, "u", long), (7, "u", long), (8, None, long)]
@@ -157,6 +166,29 @@ def test_hot_keys_join_alike(spark):
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, left.join(right, "k").collect()))
 
 
+def test_pipeline_odd_rows(spark):
+    import corpus_pipeline as pipe
+
+    body = " ".join(f"word{i}" for i in range(40))
+    rows = [(1, body, "en", "s"), (2, body, "en", "s"), (None, body + " more", "en", None), (3, None, "en", "s"), (3, "", None, "s")]
+    rows += [(4, " ".join(f"long{i}" for i in range(30000)), "de", "s"), (5, "short text", "de", "t")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    for c in ("__size", "__i", "row", "copies", "place", "node", "kept", "host", "__gone"):
+        docs = docs.withColumn(c, F.lit("clash"))
+    for start in (docs, docs.limit(0)):
+        now = start
+        for name, stage in pipe.STAGES:
+            out = stage(spark, now, "/root/testdata/sf0.001")
+            if name != "pack":
+                assert out.columns == docs.columns
+                now = spark.createDataFrame(out.collect(), docs.schema)
+        packed = out.toPandas()
+        if start is docs:
+            assert set(packed["doc_id"].dropna()) == {1, 4} and packed["doc_id"].isna().any()
+        else:
+            assert len(packed) == 0
+
+
 def test_pipeline(spark):
     import corpus_pipeline as pipe
 

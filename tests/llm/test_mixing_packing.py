@@ -73,6 +73,32 @@ def test_mix_corner_rows(spark):
     assert mix_documents(docs.limit(0)).count() == 0
 
 
+def test_mix_takes_its_options(spark):
+    docs = spark.createDataFrame([(i, "w " * 10, "ab"[i % 2]) for i in range(20)], "no long, words string, kind string")
+    docs = docs.withColumn("__size", F.lit(1)).withColumn("row", F.lit("x")).withColumn("copies", F.lit(5))
+    options = {"id_col": "no", "text_col": "words", "source_col": "kind", "weights": (1, 1), "budget_share": 3.0, "max_repeats": 3.0}
+    out = mix_documents(docs, **options)
+    assert out.columns == docs.columns and out.count() == 60
+    assert {r["count"] for r in out.groupBy("no").count().collect()} == {3}
+    uneven = plan_mix(docs, **(options | {"weights": (5, 1), "budget_share": 1.0})).groupBy("source").agg(F.sum(F.col("size") * F.col("copies")).alias("n"))
+    assert {r["source"]: r["n"] for r in uneven.collect()} == {"a": 170, "b": 30} or {r["source"]: r["n"] for r in uneven.collect()} == {"a": 160, "b": 30}
+
+
+def test_targets_of_many_sources(spark):
+    rng = random.Random(8)
+    sizes = {f"s{i:04d}": int(10 ** rng.uniform(0, 6)) for i in range(500)}
+    table = spark.createDataFrame([("0" + k, v) for k, v in sizes.items()], "source_key string, source_size long")
+    got = {r["source_key"][1:]: r["target"] for r in budget_mix.source_targets(table).collect()}
+    want = reshared(sizes)
+    assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k], rel=1e-9) for k in want)
+
+
+def test_long_documents_fill_a_large_rest():
+    assert fit_budget([80_000, 90_000, 100_000], [1, 1, 1], 95_000) == [0, 1, 0]
+    take = fit_budget([70_000, 300_000, 5], [50, 3, 10], 1_234_567)
+    assert 0 <= 1_234_567 - (take[0] * 70_000 + take[1] * 300_000 + take[2] * 5) < 70_000
+
+
 def test_pack_shard_properties():
     rng = random.Random(3)
     for _ in range(100):
@@ -85,6 +111,44 @@ def test_pack_shard_properties():
             assert final[b] == min(c for c in (16, 32, 64) if c >= used)
 
 
+def plain_best_fit(sizes, caps, cost):
+    """Bins in a plain list: of those with the least room that is enough, the one filled last."""
+    bins, where, left, clock = [], [0] * len(sizes), sum(sizes), 0
+    for i in sorted(range(len(sizes)), key=lambda i: (-sizes[i], i)):
+        clock += 1
+        fits = [b for b in bins if b["room"] >= sizes[i]]
+        if fits:
+            b = min(fits, key=lambda b: (b["room"], -b["time"]))
+        else:
+            cap = min((c for c in caps if c >= sizes[i]), key=lambda c: ((c + cost) / min(c, left), c))
+            b = {"room": cap, "no": len(bins), "used": 0}
+            bins.append(b)
+        b["room"], b["used"], b["time"], where[i] = b["room"] - sizes[i], b["used"] + sizes[i], clock, b["no"]
+        left -= sizes[i]
+    return where, [min(c for c in caps if c >= b["used"]) for b in bins]
+
+
+def test_pack_shard_equals_plain_best_fit():
+    rng = random.Random(11)
+    for _ in range(300):
+        sizes = [rng.choice([rng.randint(1, 64), rng.randint(1, 9), 16]) for _ in range(rng.randint(0, 80))]
+        cost = rng.choice([0.0, 2.0, 16.0])
+        bins, _, final = pack_shard(sizes, (16, 32, 64), cost)
+        assert (bins.tolist(), final.tolist()) == plain_best_fit(sizes, (16, 32, 64), cost)
+
+
+def test_pack_keeps_large_ids_beside_a_null(spark):
+    ids = [2**53 + 1, 2**53 + 3, -(2**63), 2**63 - 1, None]
+    docs = spark.createDataFrame([(i, "a b c", "s") for i in ids], SCHEMA)
+    assert {r["doc_id"] for r in pack_documents(docs).collect()} == set(ids)
+
+
+def test_equal_rows_spread_over_shards(spark):
+    docs = spark.createDataFrame([(7, "a b c", "s")] * 300, SCHEMA)
+    out = pack_documents(docs, shard_docs=50).toPandas()
+    assert len(out) == 300 and out.groupby("shard").size().max() < 100
+
+
 def test_pack_is_best_fit():
     bins, _, final = pack_shard([60, 50, 14, 4], (64,), 0.0)
     assert bins.tolist() == [0, 1, 1, 0] and final.tolist() == [64, 64]

@@ -98,6 +98,29 @@ def test_license_forms(spark):
     assert license_scan.scan_licenses(odd(spark, [])).count() == 0
 
 
+def test_known_licences_are_found_whole(spark):
+    import os
+
+    folder = "/usr/share/common-licenses"
+    rows = [(i, text, "s") for i, (_, text) in enumerate(license_scan.KNOWN)]
+    names = [name for name, _ in license_scan.KNOWN]
+    for name, file in (("Apache-2.0", "Apache-2.0"), ("GPL-3.0", "GPL-3"), ("MPL-2.0", "MPL-2.0"), ("LGPL-2.1", "LGPL-2.1")):
+        if os.path.exists(f"{folder}/{file}"):
+            rows.append((len(rows), open(f"{folder}/{file}", encoding="utf-8").read().replace("license", "LICENCE"), "s"))
+            names.append(name)
+    got = license_scan.scan_licenses(odd(spark, rows)).collect()
+    assert {r["doc_id"]: r["license"] for r in got} == dict(enumerate(names))
+
+
+def test_spellings_are_whole_words_and_ties_have_one_name(spark):
+    rows = [(1, "licence licence Licences", None), (2, "license\tLICENSE, licenses", None), (3, "alicence", None), (4, "alicense", None), (5, "fulfil", None), (6, "FULFILL!", None)]
+    got = {r["doc_id"]: r["digest"] for r in license_scan.scan_licenses(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got[1] == got[2] and got[3] != got[4] and got[5] == got[6]
+    known = spark.createDataFrame([("b", "some text"), ("a", "Some  TEXT")], "license string, text string")
+    docs = spark.createDataFrame([(1, "some text.", None)] * 2, SCHEMA).withColumn("digest", F.lit(1)).withColumn("license", F.lit(2))
+    assert [r["license"] for r in license_scan.scan_licenses(docs, known).collect()] == ["a", "a"]
+
+
 # op6 ------------------------------------------------------------------------------------------------------
 
 
@@ -105,7 +128,8 @@ def test_toxicity_held_out(spark):
     sf = "/root/testdata/sf0.1"
     got = toxicity.op6_toxicity(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").where("held_out")
     n = {(r["toxic"], r["predicted"]): r["count"] for r in got.groupBy("toxic", "predicted").count().collect()}
-    assert n.get((1, 1), 0) >= 0.8 * (n.get((1, 0), 0) + n.get((1, 1), 0))
+    # about one in twenty toxic texts holds no word that tells (junk that lost them), so 0.9 is near the ceiling here
+    assert n.get((1, 1), 0) >= 0.85 * (n.get((1, 0), 0) + n.get((1, 1), 0))
     assert n.get((0, 1), 0) <= 0.01 * n[0, 0]
 
 
@@ -122,6 +146,18 @@ def test_toxicity_spans_and_corner_rows(spark):
     assert toxicity.train_toxicity(odd(spark), empty) == ({}, -30.0)
 
 
+def test_training_rows_are_bounded_and_ids_count_once(spark, monkeypatch):
+    rows = [(1, f"bad{i % 3} thing", "s") for i in range(3000)] + [(i, "good thing", "s") for i in range(2, 40)] + [(99, "x " * 300_000, "s")]
+    labels = spark.createDataFrame([(i, int(i == 1 or i > 30)) for i in range(1, 100)] + [(None, 1), (5, None)], "doc_id long, toxic int")
+    seen = []
+    monkeypatch.setattr(toxicity, "fit_noisy_or", lambda bags, y: (seen.append((len(bags), y.sum())), ({}, -30.0))[1])
+    toxicity.train_toxicity(spark.createDataFrame(rows, SCHEMA), labels)
+    toxicity.train_toxicity(spark.createDataFrame(rows, SCHEMA), labels, sample_docs=10)
+    assert seen[0] == (39, 10) and seen[1][0] <= 10
+    long = toxicity.score_toxicity(spark.createDataFrame(rows[-1:], SCHEMA), ({"x": 9.0}, -4.0)).first()
+    assert long["score"] > 0.9
+
+
 # op7 ------------------------------------------------------------------------------------------------------
 
 
@@ -155,6 +191,40 @@ def test_base_counts_brute(spark):
         assert not (r.base_failed and r.kept)
 
 
+def plain_line_verdicts(rows, max_docs=20, max_lost=0.6):
+    """(n_lost_words, kept) of every row by sets of documents."""
+    digits = str.maketrans("123456789", "000000000")
+    norm = lambda t: [" ".join(x.lower().translate(digits).split()) for x in (t or "").split("\n") if x.split()]
+    holders = {}
+    for _, t, host in rows:
+        lines = frozenset(norm(t))
+        for x in lines:
+            holders.setdefault((host, x), set()).add(lines)
+    out = []
+    for _, t, host in rows:
+        words = (t or "").split()
+        lost = sum(len(x.split()) for x in norm(t) if len(holders[host, x]) > max_docs)
+        failed = len(words) < 20 or 100 * plain_repeats(words) > 30 * len(words)
+        out.append((lost, not failed and lost <= max_lost * len(words)))
+    return out
+
+
+def test_verdicts_brute(spark):
+    rng = random.Random(12)
+    pool = [" ".join(rng.choice("abcdefghij") + str(rng.randrange(30)) for _ in range(rng.randint(1, 12))) for _ in range(60)]
+    rows = []
+    for i in range(700):
+        lines = rng.sample(pool[: 10 + i // 14], rng.randint(0, 6)) + [f"own {i} " + " ".join(rng.choices(pool, k=1)) for _ in range(rng.randint(0, 3))]
+        rng.shuffle(lines)
+        rows.append((i, rng.choice(["\n", "\n\n", " \n"]).join(lines) if i % 50 else None, rng.choice(["a", "a", "b", None])))
+    rows += rows[100:160]
+    rows = [(i, t, h) for i, (_, t, h) in enumerate(rows)]
+    got = quality_lines.line_quality(spark.createDataFrame(rows, SCHEMA)).toPandas().set_index("doc_id")
+    want = plain_line_verdicts(rows)
+    assert [(got.loc[i, "n_lost_words"], got.loc[i, "kept"]) for i in range(len(rows))] == want
+    assert any(lost for lost, _ in want) and len({kept for _, kept in want}) == 2
+
+
 def test_boilerplate_goes_and_copies_stay(spark):
     rng = random.Random(2)
     word = lambda: "".join(rng.choices("abcdefgh", k=7))
