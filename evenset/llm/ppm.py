@@ -6,12 +6,15 @@ successors already ruled out are excluded; bytes never seen share what is left e
 
 `score_pretrained` trains on a part of the corpus and scores every document with the frozen trie. Nothing
 that grows is collected or broadcast: documents are dealt into blocks, each block asks once for every
-distinct word and (context, byte) pair it holds, the questions meet in buckets (pairs by the last two bytes
-of the context, so a bucket holds whole branches of the trie), and the answers go back to the blocks. Where
-there are more than `fan_in` blocks, a bucket's questions are first summed up in parts of `fan_in` blocks, and
-those in parts of `fan_in` parts, so no task holds more than `fan_in` tables of distinct keys, and the summed
-table answers part by part. Only the two upper levels of the trie, at most 256 x 256 counts, travel to every
-task.
+distinct word and (context, byte) pair it holds, the questions meet in buckets, and the answers go back. Questions
+are summed up level by level, `fan_in` tables of distinct keys at a time, until `fan_in` are left for each bucket;
+these are answered, and the answers go down the same levels, to each table only what it asked for. So the number of
+blocks changes the number of levels, and nothing else.
+
+A bucket holds whole branches of the trie: all pairs that end in the same two context bytes. A branch with more than
+`branch_bytes` of the training text (and more than 1/4096 of it) is split by one context byte more, and so on; the
+successor counts of such contexts, at most 4096 x 256 of a length, travel to every task, as do those of the two
+upper levels (256 x 256).
 
 `score_adaptive` starts an empty trie for each document and updates it after every byte.
 
@@ -128,8 +131,38 @@ def _tally(texts: list[list[bytes]], order: int) -> tuple[np.ndarray, np.ndarray
     return found, np.bincount(code, np.concatenate(counts), len(found)).astype(np.int64)
 
 
-def _pair_bucket(pairs: np.ndarray, buckets: int) -> np.ndarray:
-    branch = (pairs >> np.uint64(8)) & np.uint64(0xFFFF)
+class HotContexts:
+    """Successor counts of the contexts that are too frequent for one bucket, by context length."""
+
+    def __init__(self):
+        self.grams: dict[int, np.ndarray] = {}  # context and successor as one number, in order
+        self.counts: dict[int, np.ndarray] = {}
+        self.contexts: dict[int, np.ndarray] = {}
+
+    def add(self, length: int, contexts: np.ndarray, grams: np.ndarray, counts: np.ndarray) -> None:
+        turn = np.argsort(grams)
+        self.contexts[length], self.grams[length], self.counts[length] = np.sort(contexts), grams[turn], counts[turn]
+
+    def complete(self, length: int, asked: np.ndarray, grams: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Grams and counts of one length, those of hot contexts replaced by all that training holds."""
+        if length not in self.contexts:
+            return grams, n
+        hot = self.contexts[length]
+        mine = _lookup(hot, grams >> np.uint64(8))[1]
+        wanted = np.unique(np.concatenate([grams[mine], asked]) >> np.uint64(8))
+        give = _lookup(wanted, self.grams[length] >> np.uint64(8))[1]
+        grams, n = np.concatenate([grams[~mine], self.grams[length][give]]), np.concatenate([n[~mine], self.counts[length][give]])
+        turn = np.argsort(grams)
+        return grams[turn], n[turn]
+
+
+def _pair_bucket(pairs: np.ndarray, buckets: int, hot: HotContexts) -> np.ndarray:
+    context = pairs >> np.uint64(8)
+    branch, still = context & np.uint64(0xFFFF), np.ones(len(pairs), bool)
+    for length in sorted(hot.contexts):
+        still &= _lookup(hot.contexts[length], context & np.uint64((1 << 8 * length) - 1))[1]
+        deeper = (context & np.uint64((1 << 8 * (length + 1)) - 1)) + np.uint64(length << 57)
+        branch = np.where(still, deeper, branch)
     return ((branch * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(33)) % np.uint64(buckets)
 
 
@@ -153,7 +186,7 @@ def _ordered_words(words, buckets: int) -> list[list[bytes]]:
     return out
 
 
-def _ask(order: int, buckets: int):
+def _ask(order: int, buckets: int, hot: HotContexts):
     """Questions of one block: words and pairs, with their counts in its training rows."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -180,7 +213,7 @@ def _ask(order: int, buckets: int):
         others = np.setdiff1d(others, pairs, assume_unique=True)
         pairs = np.concatenate([pairs, others])
         counts = np.concatenate([counts, np.zeros(len(others), np.int64)])
-        where = _pair_bucket(pairs, buckets)
+        where = _pair_bucket(pairs, buckets, hot)
         turn = np.lexsort((pairs, where))
         pairs, counts, where = pairs[turn], counts[turn], where[turn]
         cuts = np.searchsorted(where, np.arange(buckets + 1))
@@ -201,9 +234,11 @@ def _lookup(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return at, table[at] == keys
 
 
-def pair_scores(asked: np.ndarray, pairs: np.ndarray, counts: np.ndarray, upper: np.ndarray, order: int) -> np.ndarray:
-    """log10 probability of every asked pair. pairs, counts: the trained pairs of whole branches (all that end
-    in the same two context bytes); upper[c, s]: how often s follows c in training.
+def pair_scores(
+    asked: np.ndarray, pairs: np.ndarray, counts: np.ndarray, upper: np.ndarray, order: int, hot: HotContexts
+) -> np.ndarray:
+    """log10 probability of every asked pair. pairs, counts: the trained pairs of whole branches; upper[c, s]: how
+    often s follows c in training; hot: what branches that are split over buckets lack.
 
     Successor sets are nested (what follows a long context also follows its end), so at each level only the
     sums over the set one level up have to be taken off."""
@@ -214,7 +249,7 @@ def pair_scores(asked: np.ndarray, pairs: np.ndarray, counts: np.ndarray, upper:
         if k >= 2:
             mask = np.uint64((1 << (8 * (k + 1))) - 1)
             grams, inverse = np.unique(pairs & mask, return_inverse=True)
-            n = np.bincount(inverse, counts, len(grams))
+            grams, n = hot.complete(k, asked & mask, grams, np.bincount(inverse, counts, len(grams)))
             contexts, inverse = np.unique(grams >> np.uint64(8), return_inverse=True)
             total = np.bincount(inverse, n, len(contexts))
             distinct = np.bincount(inverse, minlength=len(contexts)).astype(float)
@@ -282,8 +317,8 @@ def _sum_pairs(asked: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.nd
     return distinct, inverse, np.bincount(inverse, np.concatenate(counts), len(distinct))
 
 
-def _answer(order: int, buckets: int, upper: np.ndarray):
-    """Answers of one bucket to all blocks that asked it; block -1 carries the distinct trained words."""
+def _answer(order: int, buckets: int, upper: np.ndarray, hot: HotContexts):
+    """Answers of one bucket to all tables that asked it; block -1 carries the distinct trained words."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         bucket = int(pdf["bucket"].iloc[0])
@@ -298,7 +333,7 @@ def _answer(order: int, buckets: int, upper: np.ndarray):
             return pd.DataFrame({"bucket": bucket, "block": [*blocks, -1], "found": [*out, b""], "n": [*[0] * len(blocks), known]})
         keys = [_numbers(x, order + 1) for x in pdf["keys"]]
         distinct, inverse, n = _sum_pairs(keys, counts)
-        score = pair_scores(distinct, distinct[n > 0], n[n > 0], upper, order).astype(np.float32)
+        score = pair_scores(distinct, distinct[n > 0], n[n > 0], upper, order, hot)
         cuts = np.cumsum([0, *map(len, keys)])
         out = [score[inverse[a:b]].tobytes() for a, b in zip(cuts, cuts[1:])]
         return pd.DataFrame({"bucket": bucket, "block": blocks, "found": out, "n": 0})
@@ -307,7 +342,7 @@ def _answer(order: int, buckets: int, upper: np.ndarray):
 
 
 def _merge(order: int, buckets: int):
-    """The tables of one bucket and part as one: distinct keys and their sums."""
+    """The tables of one bucket and part as one: distinct keys, in order, and their sums."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         bucket = int(pdf["bucket"].iloc[0])
@@ -319,83 +354,98 @@ def _merge(order: int, buckets: int):
         else:
             pairs, _, sums = _sum_pairs([_numbers(x, order + 1) for x in pdf["keys"]], counts)
             keys = _planes(pairs, order + 1)
-        return pd.DataFrame({"bucket": bucket, "part": pdf["part"].iloc[:1], "keys": [keys], "counts": [_planes(sums, 6)]})
+        return pd.DataFrame({"bucket": bucket, "block": pdf["part"].iloc[:1], "keys": [keys], "counts": [_planes(sums, 6)]})
 
     return run
 
 
-def _model(order: int, buckets: int, upper: np.ndarray):
-    """What the summed tables answer: words keep their counts, pairs get their scores; n: trained words."""
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            for bucket, keys, raw in zip(pdf["bucket"], pdf["keys"], pdf["counts"]):
-                sums = _numbers(raw, 6).astype(np.int64)
-                known = 0
-                if bucket < buckets:
-                    found, known = raw, int((sums > 0).sum())
-                else:
-                    pairs = _numbers(keys, order + 1)
-                    found = pair_scores(pairs, pairs[sums > 0], sums[sums > 0], upper, order).astype(np.float32).tobytes()
-                yield pd.DataFrame({"bucket": [bucket], "keys": [keys], "found": [found], "n": [known]})
-
-    return run
+def _hand_down(order: int, buckets: int):
+    """What a merged table was answered, to each of the tables that it was merged from."""
 
-
-def _reply(order: int, buckets: int):
-    """Answers to the blocks of one part from its bucket's model."""
-
-    def run(asked: pd.DataFrame, model: pd.DataFrame) -> pd.DataFrame:
+    def run(asked: pd.DataFrame, answer: pd.DataFrame) -> pd.DataFrame:
         if len(asked) == 0:
             return pd.DataFrame({"bucket": [], "block": [], "found": []})
-        bucket, keys, found = int(asked["bucket"].iloc[0]), model["keys"].iloc[0], model["found"].iloc[0]
+        bucket, found = int(asked["bucket"].iloc[0]), answer["found"].iloc[0]
         if bucket < buckets:
-            count = dict(zip(keys.split(b" "), _numbers(found, 6).tolist()))
             each = [x.split(b" ") for x in asked["keys"]]
+            count = dict(zip(sorted(set().union(*each)), _numbers(found, 6).tolist()))
             out = [_planes(np.fromiter((count[w] for w in x), np.uint64, len(x)), 6) for x in each]
         else:
-            known, score = _numbers(keys, order + 1), np.frombuffer(found, np.float32)
-            out = [score[np.searchsorted(known, _numbers(x, order + 1))].tobytes() for x in asked["keys"]]
+            keys = [_numbers(x, order + 1) for x in asked["keys"]]
+            known, score = np.unique(np.concatenate(keys)), np.frombuffer(found, np.float64)
+            out = [score[np.searchsorted(known, x)].tobytes() for x in keys]
         return pd.DataFrame({"bucket": bucket, "block": asked["block"], "found": out})
 
     return run
 
 
-def _answers(asked: DataFrame, blocks: int, fan_in: int, order: int, buckets: int, upper: np.ndarray) -> tuple[DataFrame, int]:
+def _answers(
+    asked: DataFrame, blocks: int, fan_in: int, order: int, buckets: int, upper: np.ndarray, hot: HotContexts
+) -> tuple[DataFrame, int]:
     """(answers by bucket and block, distinct trained words)."""
-    if blocks <= fan_in:
-        made = asked.groupBy("bucket").applyInPandas(
-            _answer(order, buckets, upper), "bucket int, block int, found binary, n long"
+    levels = []
+    while blocks > fan_in:
+        asked = keep_table(asked.withColumn("part", F.expr(f"cast(block div {fan_in} as int)")), "questions")
+        levels.append(asked)
+        asked = asked.groupBy("bucket", "part").applyInPandas(_merge(order, buckets), "bucket int, block int, keys binary, counts binary")
+        blocks = -(-blocks // fan_in)
+    made = asked.groupBy("bucket").applyInPandas(
+        _answer(order, buckets, upper, hot), "bucket int, block int, found binary, n long"
+    )
+    answers = keep_table(made, "answers")
+    kinds = answers.where("block = -1").agg(F.sum("n")).first()[0] or 0
+    answers = answers.where("block >= 0").select("bucket", "block", "found")
+    for asked in reversed(levels):
+        above = answers.withColumnRenamed("block", "part")
+        made = (
+            asked.select("bucket", "part", "block", "keys")
+            .groupBy("bucket", "part")
+            .cogroup(above.groupBy("bucket", "part"))
+            .applyInPandas(_hand_down(order, buckets), "bucket int, block int, found binary")
         )
         answers = keep_table(made, "answers")
-        kinds = answers.where("block = -1").agg(F.sum("n")).first()[0] or 0
-        return answers.where("block >= 0"), kinds
-    asked = keep_table(asked.withColumn("part", F.expr(f"block div {fan_in}")), "questions")
-    tables, parts = asked.select("bucket", "part", "keys", "counts"), -(-blocks // fan_in)
-    groups = parts
-    while True:
-        tables = tables.groupBy("bucket", "part").applyInPandas(
-            _merge(order, buckets), "bucket int, part long, keys binary, counts binary"
-        )
-        if parts == 1:
+    return answers, kinds
+
+
+def _hot_counts(length: int, contexts: np.ndarray):
+    """Successors of the given contexts: counts per context and byte."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        keys, counts = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+        for pdf in batches:
+            texts = [split_words(t) for t in pdf["text"]]
+            for a, b in _chunks(texts):
+                pairs, _ = _streams(texts[a:b], length)
+                code, found = pd.factorize(pairs[_lookup(contexts, pairs >> np.uint64(8))[1]])
+                keys.append(found)
+                counts.append(np.bincount(code, minlength=len(found)))
+            code, found = pd.factorize(np.concatenate(keys))
+            counts = [np.bincount(code, np.concatenate(counts), len(found)).astype(np.int64)]
+            keys = [found]
+        yield pd.DataFrame({"key": keys[0].astype(np.int64) if len(keys[0]) else [], "n": counts[0]}, dtype="int64")
+
+    return run
+
+
+def hot_contexts(train: DataFrame, upper: np.ndarray, order: int, branch_bytes: int) -> HotContexts:
+    """Contexts of two bytes or more that hold too much of the training text for one task, found from the shorter
+    ones; one scan of the text for each length that has any."""
+    hot = HotContexts()
+    limit = max(branch_bytes, upper.sum() / 4096)
+    before, after = np.nonzero(upper > limit)
+    contexts = np.sort((before << 8 | after).astype(np.uint64))
+    for length in range(2, order):
+        if not len(contexts):
             break
-        tables, parts = tables.withColumn("part", F.expr(f"part div {fan_in}")), -(-parts // fan_in)
-    model = keep_table(
-        tables.mapInPandas(_model(order, buckets, upper), "bucket int, keys binary, found binary, n long"), "model"
-    )
-    kinds = model.agg(F.sum("n")).first()[0] or 0
-    dealt = model.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))).withColumn(
-        "part", F.col("part").cast("long")
-    )
-    made = (
-        asked.groupBy("bucket", "part")
-        .cogroup(dealt.groupBy("bucket", "part"))
-        .applyInPandas(_reply(order, buckets), "bucket int, block int, found binary")
-    )
-    return keep_table(made, "answers"), kinds
+        rows = train.mapInPandas(_hot_counts(length, contexts), "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
+        found = rows.collect()  # at most 4096 * 256 rows
+        grams, counts = np.array([r["key"] for r in found], np.uint64), np.array([r["n"] for r in found], np.int64)
+        hot.add(length, contexts, grams, counts)
+        contexts = np.sort(grams[counts > limit])
+    return hot
 
 
-def _settle(order: int, buckets: int):
+def _settle(order: int, buckets: int, hot: HotContexts):
     """Scores of one block's documents from the answers."""
 
     def run(pdf: pd.DataFrame, answers: pd.DataFrame) -> pd.DataFrame:
@@ -422,11 +472,11 @@ def _settle(order: int, buckets: int):
             places.append(keys)
         del texts
         distinct = pd.unique(np.concatenate(places))
-        where = _pair_bucket(distinct, buckets)
+        where = _pair_bucket(distinct, buckets, hot)
         distinct = distinct[np.lexsort((distinct, where))]
-        score = np.concatenate([np.frombuffer(found.get(buckets + i, b""), np.float32) for i in range(buckets)])
+        score = np.concatenate([np.frombuffer(found.get(buckets + i, b""), np.float64) for i in range(buckets)])
         turn = np.argsort(distinct)
-        distinct, score = distinct[turn], score[turn].astype(float)
+        distinct, score = distinct[turn], score[turn]
         total = []
         for code, keys, sizes in parts:
             each = score[np.searchsorted(distinct, keys)][code]
@@ -466,37 +516,41 @@ def score_pretrained(
     held_out=None,
     order: int = 5,
     block_bytes: int = 12 << 20,
-    fan_in: int = 256,
+    fan_in: int = 32,
+    branch_bytes: int = 8 << 20,
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row. Rows where
     held_out(id column) holds are scored only, the others also train."""
     if not 2 <= order <= 7:
         raise ValueError("order must be from 2 to 7")
     held = F.lit(False) if held_out is None else held_out(F.col(id_col))
-    blocks = text_blocks(docs, text_col, block_bytes)
-    buckets = min(2048, max(8, blocks))
+    # at least a block a core, of 64 kB or more
+    blocks = max(text_blocks(docs, text_col, block_bytes), min(docs.sparkSession.sparkContext.defaultParallelism, text_blocks(docs, text_col, 1 << 16)))
+    buckets = min(4096, max(8, blocks))
     src = docs.select(
         F.col(id_col).cast("string").alias("doc_id"),
         held.alias("held_out"),
         F.coalesce(F.col(text_col), F.lit("")).alias("text"),
         F.pmod(F.xxhash64(F.col(id_col), F.col(text_col)), F.lit(blocks)).cast("int").alias("block"),
     )
-    rows = src.where("not held_out").select("text").mapInPandas(_upper_counts, "key long, n long")
+    train = src.where("not held_out").select("text")
+    rows = train.mapInPandas(_upper_counts, "key long, n long")
     upper, tokens = np.zeros((256, 256)), 0
     for r in rows.groupBy("key").agg(F.sum("n").alias("n")).collect():  # at most 256 * 256 + 1 rows
         if r["key"] < 0:
             tokens = r["n"]
         else:
             upper[r["key"] >> 8, r["key"] & 255] = r["n"]
+    hot = hot_contexts(train, upper, order, branch_bytes)
     asked = src.groupBy("block").applyInPandas(
-        _ask(order, buckets), "bucket int, block int, keys binary, counts binary"
+        _ask(order, buckets, hot), "bucket int, block int, keys binary, counts binary"
     )
-    answers, kinds = _answers(asked, blocks, fan_in, order, buckets, upper)
+    answers, kinds = _answers(asked, blocks, fan_in, order, buckets, upper, hot)
     scored = (
         src.groupBy("block")
         .cogroup(answers.groupBy("block"))
         .applyInPandas(
-            _settle(order, buckets),
+            _settle(order, buckets, hot),
             "doc_id string, held_out boolean, n_tokens long, n_known long, log_sum double, score double",
         )
     )

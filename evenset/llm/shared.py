@@ -12,12 +12,19 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+_LOCAL: dict[str, str] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where none is set (tests)."""
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    """The folder that driver and executors share. A temporary one, one a session, serves only where none is set and
+    all runs on this machine (tests)."""
+    context = spark.sparkContext
+    found = context.getConf().get("spark.checkpoint.dir")
     if not found:
-        found = tempfile.mkdtemp(prefix="evenset-")
-        spark.sparkContext.getConf().set("spark.checkpoint.dir", found)
+        if not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        found = _LOCAL.setdefault(context.applicationId, "") or tempfile.mkdtemp(prefix="evenset-")
+        _LOCAL[context.applicationId] = found
     return found.rstrip("/")
 
 
