@@ -33,15 +33,24 @@ def to_matrix(series) -> np.ndarray:
     return np.stack([np.asarray(x, np.float64) for x in series]) if len(series) else np.zeros((0, 1))
 
 
-def nearest(points: np.ndarray, centroids: np.ndarray, block: int = 8192) -> tuple[np.ndarray, np.ndarray]:
-    """(index of the nearest centroid, squared distance); equal distances go to the lower index."""
+def nearest(points: np.ndarray, centroids: np.ndarray, block: int = 8192, most: int = 1 << 22) -> tuple[np.ndarray, np.ndarray]:
+    """(index of the nearest centroid, squared distance); equal distances go to the lower index. Distances are held
+    for at most `most` pairs at a time, whatever the number of centroids."""
     at, best = np.zeros(len(points), np.int64), np.zeros(len(points))
     size = (centroids**2).sum(axis=1)
+    wide = max(1, min(len(centroids), most // 64))
+    block = max(64, min(block, most // wide))
     for i in range(0, len(points), block):
         x = points[i : i + block]
-        d = size[None, :] - 2 * (x @ centroids.T)
-        at[i : i + block] = d.argmin(axis=1)
-        best[i : i + block] = ((x - centroids[at[i : i + block]]) ** 2).sum(axis=1)
+        low, found = np.full(len(x), np.inf), np.zeros(len(x), np.int64)
+        for j in range(0, len(centroids), wide):
+            d = size[None, j : j + wide] - 2 * (x @ centroids[j : j + wide].T)
+            here = d.argmin(axis=1)
+            d = d[np.arange(len(x)), here]
+            nearer = d < low
+            low[nearer], found[nearer] = d[nearer], here[nearer] + j
+        at[i : i + block] = found
+        best[i : i + block] = ((x - centroids[found]) ** 2).sum(axis=1)
     return at, best
 
 

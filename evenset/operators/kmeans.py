@@ -1,4 +1,9 @@
-"""K-means over points: seeding, assignment strategies, Lloyd steps, resampling."""
+"""K-means over points: seeding, assignment strategies, Lloyd steps, resampling.
+
+Up to DRIVER_BYTES of centroids are one array on the driver and in every task; more are a table (kmeans_table),
+with the same Lloyd steps. Defined cases: null vectors take no part; without points there are no centroids, and
+with fewer points than clusters as many as there are points; the order of rows does not matter.
+"""
 
 from __future__ import annotations
 
@@ -11,20 +16,31 @@ from pyspark.sql import functions as F
 
 from ..functions.linalg import lloyd, nearest, plusplus, priority, sq_dist, to_matrix, uniform
 from ..sources.tables import staged
+from .kmeans_table import assign_table, fit_table, least_priority
 
-BROADCAST_BYTES = 256 << 20
+BROADCAST_BYTES = DRIVER_BYTES = 256 << 20
 
 
 @dataclass
 class KMeansModel:
-    centroids: np.ndarray
+    """centroids: an array, or None where they are a table (node, centroid) of k rows."""
+
+    centroids: np.ndarray | None
     history: list[float] = field(default_factory=list)
+    table: DataFrame | None = None
+    k: int = 0
+
+    def assign(self, points: DataFrame) -> DataFrame:
+        if self.centroids is None:
+            return assign_table(points, self.table, self.k)
+        return assign(points, self.centroids)
 
 
 def priority_sample(points: DataFrame, rows: int, seed: int) -> np.ndarray:
-    """At most `rows` vectors, those of least priority: a bounded, repeatable sample."""
-    picked = points.orderBy(priority(seed, F.col("point_id")), "point_id").limit(rows).select("vec").collect()
-    return to_matrix([r["vec"] for r in picked])
+    """At most `rows` vectors, those of least priority, in that order: a bounded, repeatable sample."""
+    chosen = least_priority(points.select("point_id", "vec"), rows, seed)
+    picked = chosen.select(priority(seed, F.col("point_id")).alias("p"), "point_id", "vec").collect()
+    return to_matrix([r["vec"] for r in sorted(picked, key=lambda r: (r["p"], r["point_id"]))])
 
 
 def seed_random(points: DataFrame, k: int, seed: int = 1) -> np.ndarray:
@@ -45,8 +61,9 @@ def seed_parallel(points: DataFrame, k: int, seed: int = 1, rounds: int = 5, fac
         if total <= 0:
             break
         keep = far.where(uniform(seed + 1 + r, F.col("point_id")) < factor * k * F.col("dist2") / total)
-        more = points.join(keep.select("point_id"), "point_id", "left_semi").select("vec").limit(int(4 * factor * k) + 16)
-        found = to_matrix([x["vec"] for x in more.collect()])
+        # factor * k rows are expected, and never many more: each is kept by chance on its own
+        found = points.join(keep.select("point_id"), "point_id", "left_semi").orderBy("point_id").select("vec")
+        found = to_matrix([x["vec"] for x in found.collect()])
         if len(found):
             chosen = np.vstack([chosen, found])
     sizes = {r["node"]: r["count"] for r in assign(points, chosen).groupBy("node").count().collect()}
@@ -83,6 +100,9 @@ def assign(points: DataFrame, centroids: np.ndarray, *, strategy: str = "auto",
 
     expr: Catalyst only; broadcast_gemm: one Arrow pass with all centroids, up to BROADCAST_BYTES; blocked:
     centroid blocks one after another, exact; coarse: only the nprobe nearest cells of centroids."""
+    points = points.where("vec is not null")
+    if not len(centroids):
+        return points.select("point_id", F.lit(0).cast("long").alias("node"), F.lit(0.0).alias("dist2")).limit(0)
     if strategy == "auto":
         strategy = "broadcast_gemm" if centroids.nbytes <= BROADCAST_BYTES else "blocked"
     schema = "point_id long, node long, dist2 double"
@@ -161,9 +181,20 @@ def _partials(points: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, np.
 
 
 def kmeans_fit(
-    points: DataFrame, k: int, *, seed: int = 1, init="plusplus", max_iter: int = 10, tol: float = 1e-6, empty: str = "keep"
-) -> KMeansModel:
-    """Lloyd's algorithm. init: plusplus, parallel, random or an array of centroids."""
+    points: DataFrame, k: int, *, seed: int = 1, init="plusplus", max_iter: int = 10, tol: float = 1e-6, empty: str = "keep",
+    driver_bytes: int = DRIVER_BYTES,
+) -> KMeansModel:
+    """Lloyd's algorithm. init: plusplus, parallel, random, or centroids as an array or a table (node, centroid).
+    Centroids of more than driver_bytes are kept as a table; seeds other than random are then drawn in groups."""
+    points = points.where("vec is not null")
+    one = points.select(F.size("vec").alias("d")).first()
+    if one is None:
+        return KMeansModel(np.zeros((0, 1)))
+    if isinstance(init, DataFrame) or 8 * k * one["d"] > driver_bytes:
+        if isinstance(init, np.ndarray):
+            init = centroid_frame(points.sparkSession, init)
+        table, k, history = fit_table(points, k, one["d"], seed=seed, init=init, max_iter=max_iter, tol=tol, empty=empty)
+        return KMeansModel(None, history, table, k)
     start = {"plusplus": seed_plusplus, "parallel": seed_parallel, "random": seed_random}
     c = start[init](points, k, seed) if isinstance(init, str) else np.array(init, float)
     history = []
@@ -173,7 +204,7 @@ def kmeans_fit(
         new = np.where(mass[:, None] > 0, sums / np.maximum(mass, 1)[:, None], c)
         if empty == "farthest" and (mass == 0).any():
             far = assign(points, c).orderBy(F.desc("dist2"), "point_id").limit(int((mass == 0).sum()))
-            rows = points.join(F.broadcast(far.select("point_id")), "point_id").select("vec").collect()
+            rows = points.join(F.broadcast(far.select("point_id", "dist2")), "point_id").orderBy(F.desc("dist2"), "point_id").select("vec").collect()
             for slot, r in zip(np.flatnonzero(mass == 0), rows):
                 new[slot] = r["vec"]
         moved = float(((new - c) ** 2).sum(axis=1).max())
@@ -223,7 +254,8 @@ def closest_per_node(assigned: DataFrame, per_node: int) -> DataFrame:
 def resample_refine(points: DataFrame, model: KMeansModel, *, rounds: int = 1, per_cluster: int = 10, max_iter: int = 5) -> KMeansModel:
     """Refit on the points nearest to each centroid, which flattens dense regions, then go on from there."""
     for _ in range(rounds):
-        flat = closest_per_node(assign(points, model.centroids), per_cluster).select("point_id")
+        flat = closest_per_node(model.assign(points), per_cluster).select("point_id")
         sample = staged(points.join(flat, "point_id", "left_semi"))
-        model = kmeans_fit(sample, len(model.centroids), init=model.centroids, max_iter=max_iter)
+        init = model.table if model.centroids is None else model.centroids
+        model = kmeans_fit(sample, model.k or len(init), init=init, max_iter=max_iter)
     return model

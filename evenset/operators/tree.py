@@ -1,9 +1,14 @@
-"""The cluster tree: levels of K-means, each over the centroids of the level below."""
+"""The cluster tree: levels of K-means, each over the centroids of the level below.
+
+A level whose centroids are few enough for the driver is an array there; a larger one is a table (node, parent,
+centroid) that no driver or task holds as a whole, and the same K-means runs over it. Defined cases: null vectors take
+no part; clusters without points do not become nodes; without points there is no tree (ValueError).
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -11,7 +16,9 @@ from pyspark.sql import functions as F
 
 from ..functions.linalg import lloyd, nearest, plusplus
 from ..sources.tables import spread, staged
-from .kmeans import assign, centroid_frame, kmeans_fit, resample_refine
+from .batching import global_ordinal
+from .kmeans import DRIVER_BYTES, KMeansModel, centroid_frame, kmeans_fit, resample_refine
+from .kmeans_table import within_cells
 
 # Ratios between neighbouring levels of the two published tree shapes.
 NARROW, WIDE = (100.0, 100.0, 350 / 62), (35.0, 10.0, 10000 / 2048)
@@ -37,53 +44,96 @@ def level_counts(n: int, depth: int = 4, leaf_fraction: float = 0.01, top: int =
 
 @dataclass
 class ClusterTree:
-    """centroids[l] and parent[l] (node of level l + 1) for levels 0 (leaves) to top; leaf_of: point_id, c1, dist2."""
+    """Levels 0 (leaves) to top. centroids[l]: an array or None; parent[l]: node of level l + 1 or None; tables[l]: node,
+    parent, centroid, always. leaf_of: point_id, c1, dist2."""
 
-    centroids: list[np.ndarray]
-    parent: list[np.ndarray]
+    centroids: list[np.ndarray | None]
+    parent: list[np.ndarray | None]
     leaf_of: DataFrame
+    large: dict[int, DataFrame] = field(default_factory=dict)
+    counts: list[int] = field(default_factory=list)
+
+    def __post_init__(self):
+        self.counts = self.counts or [len(c) for c in self.centroids]
 
     @property
     def depth(self) -> int:
         return len(self.centroids)
 
+    def table(self, level: int) -> DataFrame:
+        """node, parent (-1 at the top), centroid of a level, 0 for the leaves."""
+        if self.centroids[level] is None:
+            return self.large[level]
+        up = self.parent[level] if level + 1 < self.depth else np.full(self.counts[level], -1)
+        rows = [(i, int(u), [float(x) for x in c]) for i, (u, c) in enumerate(zip(up, self.centroids[level]))]
+        return self.leaf_of.sparkSession.createDataFrame(rows, "node long, parent long, centroid array<double>")
+
     def path_table(self) -> DataFrame:
         """c1 .. cL of every leaf."""
-        k = len(self.centroids[0])
-        cols = [np.arange(k)]
+        if any(p is None for p in self.parent):
+            out = self.table(0).select(F.col("node").alias("c1"), F.col("parent").alias("c2"))
+            for level in range(1, self.depth - 1):
+                up = self.table(level).select(F.col("node").alias(f"c{level + 1}"), F.col("parent").alias(f"c{level + 2}"))
+                out = out.join(up, f"c{level + 1}")
+            return out.select(*[f"c{i + 1}" for i in range(self.depth)])
+        cols = [np.arange(self.counts[0])]
         for p in self.parent:
             cols.append(p[cols[-1]])
-        rows = [tuple(int(c[i]) for c in cols) for i in range(k)]
+        rows = list(zip(*[c.tolist() for c in cols]))
         return self.leaf_of.sparkSession.createDataFrame(rows, ", ".join(f"c{i + 1} long" for i in range(self.depth)))
 
     def paths(self) -> DataFrame:
-        return self.leaf_of.select("point_id", "c1").join(F.broadcast(self.path_table()), "c1")
+        """point_id and path; Spark broadcasts the table of leaves if it is small enough."""
+        return self.leaf_of.select("point_id", "c1").join(self.path_table(), "c1")
 
     def sizes(self, level: int, subset: DataFrame | None = None) -> DataFrame:
         """node, n for every node of a level, 0 where the subset has none; log10 of n."""
         paths = self.paths() if subset is None else self.paths().join(subset.select("point_id"), "point_id", "left_semi")
         held = paths.groupBy(F.col(f"c{level}").alias("node")).agg(F.count("*").alias("n"))
-        every = self.leaf_of.sparkSession.range(len(self.centroids[level - 1])).withColumnRenamed("id", "node")
+        every = self.leaf_of.sparkSession.range(self.counts[level - 1]).withColumnRenamed("id", "node")
         out = every.join(held, "node", "left").withColumn("n", F.coalesce("n", F.lit(0)))
         return out.withColumn("log_n", F.log10(F.greatest("n", F.lit(1))))
 
     def nodes(self) -> DataFrame:
-        rows = []
-        for level, c in enumerate(self.centroids, 1):
-            up = self.parent[level - 1] if level < self.depth else np.full(len(c), -1)
-            kids = np.bincount(self.parent[level - 2], minlength=len(c)) if level > 1 else np.zeros(len(c), int)
-            rows += [(level, i, int(up[i]), [float(x) for x in c[i]], int(kids[i])) for i in range(len(c))]
-        return self.leaf_of.sparkSession.createDataFrame(
-            rows, "level int, node long, parent long, centroid array<double>, n_children long"
-        )
+        """level (leaves 1), node, parent, centroid, n_children of all nodes."""
+        out = None
+        for level in range(self.depth):
+            t = self.table(level).withColumn("level", F.lit(level + 1))
+            if level:
+                kids = self.table(level - 1).groupBy(F.col("parent").alias("node")).agg(F.count("*").alias("n_children"))
+                t = t.join(kids, "node", "left")
+            else:
+                t = t.withColumn("n_children", F.lit(0).cast("long"))
+            t = t.select("level", "node", "parent", "centroid", "n_children")
+            out = t if out is None else out.unionByName(t)
+        return out
+
+    def subtree(self, top_level: int, node: int) -> "ClusterTree":
+        """The tree below one node: its leaves and points, nodes numbered anew."""
+        if any(c is None for c in self.centroids[: top_level]):
+            raise ValueError("cut a tree whose levels are arrays")
+        keep = [np.array([node])]
+        for level in range(top_level - 2, -1, -1):
+            keep.insert(0, np.flatnonzero(np.isin(self.parent[level], keep[0])))
+        centroids = [self.centroids[level][k] for level, k in enumerate(keep)]
+        parent = [np.searchsorted(keep[level + 1], self.parent[level][keep[level]]) for level in range(top_level - 1)]
+        spark = self.leaf_of.sparkSession
+        new = spark.createDataFrame([(int(o), i) for i, o in enumerate(keep[0])], "c1 long, new long")
+        leaf_of = self.leaf_of.join(new, "c1").select("point_id", F.col("new").alias("c1"), "dist2")
+        return ClusterTree(centroids, parent, leaf_of)
 
     def truncate(self, top_level: int) -> "ClusterTree":
-        return ClusterTree(self.centroids[:top_level], self.parent[: top_level - 1], self.leaf_of)
+        """The lower levels only: a tree of less depth."""
+        large = {k: v for k, v in self.large.items() if k < top_level}
+        return ClusterTree(self.centroids[:top_level], self.parent[: top_level - 1], self.leaf_of, large, self.counts[:top_level])
 
     def route(self, points: DataFrame, mode: str = "leaf") -> DataFrame:
         """Unseen points to leaves: leaf compares with all leaves, greedy walks down from the top."""
         if mode == "leaf":
-            return assign(points, self.centroids[0]).withColumnRenamed("node", "c1")
+            found = KMeansModel(self.centroids[0], table=self.large.get(0), k=self.counts[0]).assign(points)
+            return found.withColumnRenamed("node", "c1")
+        if any(c is None for c in self.centroids):
+            return self._walk(points)
         centroids, parent = self.centroids, self.parent
 
         def run(batches):
@@ -103,22 +153,40 @@ class ClusterTree:
                     at = new
                 yield pd.DataFrame({"point_id": pdf["point_id"], "c1": at, "dist2": d})
 
-        return points.select("point_id", "vec").mapInPandas(run, "point_id long, c1 long, dist2 double")
+        return points.where("vec is not null").select("point_id", "vec").mapInPandas(run, "point_id long, c1 long, dist2 double")
+
+    def _walk(self, points: DataFrame, per_task: int = 8192) -> DataFrame:
+        """Greedy routing level by level: points meet the children of the node they have reached."""
+        top = self.depth - 1
+        points = points.where("vec is not null").select("point_id", "vec")
+        at = KMeansModel(self.centroids[top], table=self.large.get(top), k=self.counts[top]).assign(points)
+        for level in range(top - 1, -1, -1):
+            at = staged(at)
+            here = points.join(at.select("point_id", F.col("node").alias("cell")), "point_id")
+            counts = {r["node"]: r["count"] for r in at.groupBy("node").count().collect()}  # one row per node above
+            at = within_cells(here, self.table(level).select("node", "centroid", F.col("parent").alias("cell")), counts, per_task)
+        return at.withColumnRenamed("node", "c1")
 
     def save(self, path: str) -> None:
         self.nodes().write.partitionBy("level").parquet(f"{path}/nodes")
         self.leaf_of.write.parquet(f"{path}/leaf_of")
 
 
-def load_tree(spark, path: str) -> ClusterTree:
-    rows = spark.read.parquet(f"{path}/nodes").orderBy("level", "node").collect()
-    depth = max(r["level"] for r in rows)
-    by = [[r for r in rows if r["level"] == i] for i in range(1, depth + 1)]
-    return ClusterTree(
-        [np.array([r["centroid"] for r in x]) for x in by],
-        [np.array([r["parent"] for r in x], int) for x in by[:-1]],
-        spark.read.parquet(f"{path}/leaf_of"),
-    )
+def load_tree(spark, path: str, driver_bytes: int = DRIVER_BYTES) -> ClusterTree:
+    nodes = spark.read.parquet(f"{path}/nodes")
+    held = nodes.groupBy("level").agg(F.count("*").alias("n"), F.first(F.size("centroid")).alias("d")).orderBy("level").collect()
+    centroids, parent, large = [], [], {}
+    for r in held:
+        level = nodes.where(F.col("level") == r["level"]).select("node", "parent", "centroid")
+        if 8 * r["n"] * r["d"] > driver_bytes:
+            large[r["level"] - 1] = level
+            centroids.append(None)
+            parent.append(None)
+            continue
+        rows = level.orderBy("node").collect()
+        centroids.append(np.array([x["centroid"] for x in rows]))
+        parent.append(np.array([x["parent"] for x in rows], int))
+    return ClusterTree(centroids, parent[:-1], spark.read.parquet(f"{path}/leaf_of"), large, [r["n"] for r in held])
 
 
 def drop_empty(centroids: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -126,34 +194,84 @@ def drop_empty(centroids: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.nd
     return centroids[live], new
 
 
+def resample_array(below: np.ndarray, c: np.ndarray, rounds: int, per_cluster: int = 10, max_iter: int = 5) -> np.ndarray:
+    """Refit on the rows nearest to each centroid, as resample_refine does for points."""
+    for _ in range(rounds):
+        at, d = nearest(below, c)
+        order = np.lexsort((d, at))
+        first = np.searchsorted(at[order], at[order])  # where each cluster begins
+        c = lloyd(below[order[np.arange(len(order)) - first < per_cluster]], c, max_iter)[0]
+    return c
+
+
+def _level(points: DataFrame, model: KMeansModel) -> tuple[np.ndarray | None, DataFrame | None, int, DataFrame]:
+    """(centroids as array or table, how many, point_id and node and dist2) of the clusters that have points."""
+    at = staged(model.assign(points))
+    live = at.select("node").distinct()
+    if model.centroids is None:
+        new = staged(global_ordinal(live, [F.col("node")]))
+        table = new.join(model.table, "node").select(F.col("ordinal").alias("node"), "centroid")
+        k, array = new.count(), None
+    else:
+        nodes = np.array(sorted(r["node"] for r in live.collect()), int)
+        new = points.sparkSession.createDataFrame([(int(o), i) for i, o in enumerate(nodes)], "node long, ordinal long")
+        table, k, array = None, len(nodes), model.centroids[nodes]
+    return array, table, k, at.join(new, "node").select("point_id", F.col("ordinal").alias("node"), "dist2")
+
+
 def build_tree(
-    points: DataFrame, counts: list[int] | Callable[[int], list[int]], *, seed: int = 1, max_iter: int = 5, resample_rounds: int = 0, centroid_weight: str = "one"
-) -> ClusterTree:
-    """Leaves by distributed K-means; upper levels over centroids, each counting once whatever its population
-    (centroid_weight="population" is the contrast). counts may be a function of the number of points."""
-    points = staged(spread(points))
-    counts = counts(points.count()) if callable(counts) else counts
-    model = kmeans_fit(points, counts[0], seed=seed, max_iter=max_iter)
-    if resample_rounds:
-        model = resample_refine(points, model, rounds=resample_rounds)
-    spark = points.sparkSession
-    first = staged(assign(points, model.centroids))
-    sizes = {r["node"]: r["count"] for r in first.groupBy("node").count().collect()}
-    live = np.array(sorted(sizes))
-    centroids, parents = [model.centroids[live]], []
-    renumber = spark.createDataFrame([(int(o), i) for i, o in enumerate(live)], "node long, c1 long")
-    leaf_of = first.join(F.broadcast(renumber), "node").select("point_id", "c1", "dist2")
-    weight = np.array([sizes[i] for i in live], float)
-    for level, k in enumerate(counts[1:], 1):
-        below = centroids[-1]
-        w = weight if centroid_weight == "population" else None
-        start = plusplus(below, min(k, len(below)), np.random.default_rng(seed + level), w)
-        c, at, _, _ = lloyd(below, start, 15, weights=w)
-        c, at = drop_empty(c, at)
-        centroids.append(c)
-        parents.append(at)
-        weight = np.bincount(at, weight, len(c))
-    return ClusterTree(centroids, parents, leaf_of)
+    points: DataFrame, counts: list[int] | Callable[[int], list[int]], *, seed: int = 1, max_iter: int = 5,
+    resample_rounds: int = 0, centroid_weight: str = "one", driver_bytes: int = DRIVER_BYTES,
+) -> ClusterTree:
+    """K-means over the points, then over the centroids of the level below, each counting once whatever its population
+    (centroid_weight="population" is the contrast, for levels below which centroids are arrays). Each level is resampled
+    resample_rounds times. counts may be a function of the number of points. Levels of more than driver_bytes are tables."""
+    points = staged(spread(points.where("vec is not null")))
+    n = points.count()
+    if n == 0:
+        raise ValueError("no points to build a tree from")
+    counts = counts(n) if callable(counts) else counts
+    centroids, parents, large, held = [], [], {}, []
+    below, weight, leaf_of = None, None, None  # below: the last level as an array, or None
+    level_points = points
+    for level, k in enumerate(counts):
+        if level and below is not None:
+            w = weight if centroid_weight == "population" else None
+            start = plusplus(below, min(k, len(below)), np.random.default_rng(seed + level), w)
+            c, at, _, _ = lloyd(below, start, 15, weights=w)
+            if resample_rounds and w is None:
+                c = lloyd(below, resample_array(below, c, resample_rounds), 1)[0]
+                at = nearest(below, c)[0]
+            c, at = drop_empty(c, at)
+            centroids.append(c)
+            parents.append(at)
+            held.append(len(c))
+            weight = np.bincount(at, weight, len(c)) if weight is not None else None
+            below = c
+            continue
+        if level and centroid_weight == "population":
+            raise ValueError("population weights need the centroids below as an array: raise driver_bytes")
+        model = kmeans_fit(level_points, k, seed=seed + level, max_iter=max_iter, driver_bytes=driver_bytes)
+        if resample_rounds:
+            model = resample_refine(level_points, model, rounds=resample_rounds)
+        array, table, k, at = _level(level_points, model)
+        at = staged(at)
+        if level == 0:
+            leaf_of = at.select("point_id", F.col("node").alias("c1"), "dist2")
+            if array is not None and centroid_weight == "population":
+                sizes = {r["c1"]: r["count"] for r in leaf_of.groupBy("c1").count().collect()}
+                weight = np.array([sizes[i] for i in range(k)], float)
+        else:
+            up = at.select(F.col("point_id").alias("node"), F.col("node").alias("parent"))
+            large[level - 1] = staged(large[level - 1].select("node", "centroid").join(up, "node").select("node", "parent", "centroid"))
+            parents.append(None)
+        if table is not None:
+            large[level] = staged(table.select("node", F.lit(-1).cast("long").alias("parent"), "centroid"))
+            level_points = large[level].select(F.col("node").alias("point_id"), F.col("centroid").alias("vec"))
+        centroids.append(array)
+        held.append(k)
+        below = array
+    return ClusterTree(centroids, parents, leaf_of, large, held)
 
 
 __all__ = ["ClusterTree", "build_tree", "centroid_frame", "level_counts", "load_tree", "NARROW", "WIDE", "LEAST_TOP"]

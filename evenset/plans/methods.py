@@ -649,7 +649,7 @@ def _(spark, sf):
         for start in (4, 3):
             levels = [f"c{i}" for i in range(start, 0, -1)]
             g = allocate.allocate_tree(base, levels, "budget", keys=["run"])["c1"].select("run", "c1", "granted")
-            g = staged(g.join(F.broadcast(t.path_table()), "c1"))
+            g = staged(g.join(t.path_table(), "c1"))
             for level in (4, 3):
                 c = g.groupBy("run", f"c{level}").agg(F.sum("granted").alias("n"))
                 tv = metrics.tv_uniform(c, c, [f"c{level}"], by=["run"])
