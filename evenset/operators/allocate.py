@@ -11,6 +11,8 @@ from pyspark.sql import functions as F
 
 from ..functions.linalg import priority, sq_dist, uniform
 from ..sources.tables import staged
+from .batching import global_ordinal, sum_before
+from .kmeans_table import least_priority
 
 
 def fill_level_bisect(sizes: list[int], budget: int) -> int:
@@ -98,17 +100,32 @@ def allocate_tree(
     return {k: v.drop("__all") for k, v in out.items()}
 
 
+def allocate_by_volume(leaves: DataFrame, budget: int, *, size: str = "size", volume: str = "volume") -> DataFrame:
+    """leaves + granted: samples in proportion to the volume of each leaf, none above its size. Leaves fill up in the
+    order of size / volume; the level is the greatest root of the lines of filled and open leaves. Leaves of no volume
+    get nothing."""
+    live = leaves.where((F.col(volume) > 0) & (F.col(size) > 0))
+    fills = [F.col(size) / F.col(volume)]
+    both = staged(sum_before(live, fills, {size: "__full", volume: "__open"}))
+    total = both.agg(F.sum(volume).alias("__all"))
+    root = (F.lit(float(budget)) - F.col("__full")) / (F.col("__all") - F.col("__open"))
+    level = both.join(F.broadcast(total)).agg(F.max(root).alias("__level"))  # one row each
+    granted = F.greatest(F.lit(0), F.least(F.col(size), F.floor(F.col("__level") * F.col(volume) + 1e-9))).cast("long")
+    out = leaves.join(F.broadcast(level))
+    return out.withColumn("granted", F.when(F.col(volume) > 0, F.coalesce(granted, F.lit(0))).otherwise(0).cast("long")).drop("__level")
+
+
 def draw_points(points: DataFrame, grants: DataFrame, leaf: list[str], *, id_col: str = "point_id", seed: int = 17) -> DataFrame:
     """The `granted` points of least priority in every leaf. A threshold far on the safe side of the wanted
     share drops most points of dense leaves before they are ranked."""
-    wanted = grants.select(*leaf, F.col("size").alias("__size"), "granted").where("granted > 0")
-    safe = F.col("granted") + 8 * F.sqrt("granted") + 16
+    wanted = grants.select(*leaf, F.col("size").alias("__size"), F.col("granted").alias("__granted")).where("__granted > 0")
+    safe = F.col("__granted") + 8 * F.sqrt("__granted") + 16
     near = points.join(wanted, leaf).where(
-        (F.col("granted") >= F.col("__size")) | (uniform(seed, F.col(id_col)) < safe / F.col("__size"))
+        (F.col("__granted") >= F.col("__size")) | (uniform(seed, F.col(id_col)) < safe / F.col("__size"))
     )
     turn = Window.partitionBy(*leaf).orderBy(priority(seed, F.col(id_col)), id_col)
-    ranked = near.withColumn("draw_rank", F.row_number().over(turn)).where(F.col("draw_rank") <= F.col("granted"))
-    return ranked.drop("__size", "granted")
+    ranked = near.withColumn("draw_rank", F.row_number().over(turn)).where(F.col("draw_rank") <= F.col("__granted"))
+    return ranked.drop("__size", "__granted")
 
 
 def curate(
@@ -139,7 +156,7 @@ def curate_even(points: DataFrame, class_col: str, budget: int, *, id_col: str =
 
 def select_uniform(points: DataFrame, n: int, *, id_col: str = "point_id", seed: int = 17) -> DataFrame:
     """n points of least priority: keeps the pool's imbalance."""
-    return points.orderBy(priority(seed, F.col(id_col)), id_col).limit(n)
+    return least_priority(points, n, seed, id_col)
 
 
 def draw_by_distance(assigned: DataFrame, per_leaf: int, within: str = "closest", seed: int = 17) -> DataFrame:
@@ -173,7 +190,8 @@ def prune_copies(df: DataFrame, content: str, id_col: str) -> DataFrame:
 
 def select_uncertain(scores: DataFrame, budget: int) -> DataFrame:
     """Items whose score lies nearest one half."""
-    return scores.orderBy(F.abs(F.col("score") - 0.5), "id").limit(budget)
+    ranked = global_ordinal(scores, [F.abs(F.col("score") - 0.5), F.col("id")], "__rank")
+    return ranked.where(F.col("__rank") < budget).drop("__rank")
 
 
 def saturation(grants: DataFrame) -> DataFrame:

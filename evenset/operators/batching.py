@@ -34,15 +34,20 @@ def global_ordinal(df: DataFrame, order: list, name: str = "ordinal", parts: int
     return out.withColumn(name, F.col("__start") + F.col("__m") - F.col("__first")).drop("__p", "__m", "__n", "__first", "__start", *cols)
 
 
-def sum_before(df: DataFrame, order: list, value: str, name: str = "before", parts: int | None = None) -> DataFrame:
-    """Sum of `value` over all rows earlier in a global order (0 for the first), by range partitions and offsets."""
+def sum_before(df: DataFrame, order: list, value: str | dict[str, str], name: str = "before", parts: int | None = None) -> DataFrame:
+    """Sum of `value` over all rows earlier in a global order (0 for the first), by range partitions and offsets.
+    value may name several columns at once, as {column: name of its sum}."""
+    values = {value: name} if isinstance(value, str) else value
     keyed, cols = _ranges(df, order, parts)
     back = Window.unboundedPreceding, -1
-    sums = keyed.groupBy("__p").agg(F.sum(value).alias("__n"))
-    starts = sums.select("__p", F.coalesce(F.sum("__n").over(Window.orderBy("__p").rowsBetween(*back)), F.lit(0)).alias("__start"))
-    inside = F.coalesce(F.sum(value).over(Window.partitionBy("__p").orderBy("__m").rowsBetween(*back)), F.lit(0))
-    out = keyed.withColumn("__in", inside).join(F.broadcast(starts), "__p")
-    return out.withColumn(name, F.col("__start") + F.col("__in")).drop("__p", "__m", "__in", "__start", *cols)
+    sums = keyed.groupBy("__p").agg(*[F.sum(v).alias(f"__s_{n}") for v, n in values.items()])
+    over = Window.orderBy("__p").rowsBetween(*back)
+    starts = sums.select("__p", *[F.coalesce(F.sum(f"__s_{n}").over(over), F.lit(0)).alias(f"__start_{n}") for n in values.values()])
+    inside = Window.partitionBy("__p").orderBy("__m").rowsBetween(*back)
+    out = keyed.withColumns({f"__in_{n}": F.coalesce(F.sum(v).over(inside), F.lit(0)) for v, n in values.items()})
+    out = out.join(F.broadcast(starts), "__p")
+    out = out.withColumns({n: F.col(f"__start_{n}") + F.col(f"__in_{n}") for n in values.values()})
+    return out.drop("__p", "__m", *cols, *[f"__{x}_{n}" for n in values.values() for x in ("in", "start")])
 
 
 def plan_shuffled(subset: DataFrame, batch: int, iterations: int, seed: int = 17, mode: str = "epoch") -> DataFrame:
@@ -65,7 +70,7 @@ def plan_shuffled(subset: DataFrame, batch: int, iterations: int, seed: int = 17
 
 def plan_stratified(subset: DataFrame, cluster_col: str, batch: int, iterations: int, seed: int = 17, strict: bool = False) -> DataFrame:
     """iteration, slot, cluster, point_id, seen_before: as many tiles of every cluster in each batch as can be,
-    least-seen first."""
+    least-seen first. strict: no tile twice in a batch, by swaps where two passes of a cluster meet."""
     spark = subset.sparkSession
     turn = Window.orderBy("cluster")
     sizes = subset.groupBy(F.col(cluster_col).alias("cluster")).agg(F.count("*").alias("s"))
@@ -87,11 +92,45 @@ def plan_stratified(subset: DataFrame, cluster_col: str, batch: int, iterations:
     perms = perms.withColumn("place", F.row_number().over(Window.partitionBy("cluster", "pass").orderBy(key, "point_id")) - 1)
     plan = draws.join(perms.withColumn("pass", F.col("pass").cast("long")), ["cluster", "pass", "place"])
     if strict:
-        plan = plan.groupBy("cluster").applyInPandas(_no_repeats, "iteration long, cluster string, j long, pass long, point_id long")
+        # repeats arise only in the batch where a pass ends and the next begins, so only draws near the ends of passes
+        # are looked at: three batches' worth a pass
+        per = F.expr(f"{batch} div k + 1")
+        edge = (F.col("place") < 2 * per) | (F.col("place") >= F.col("s") - per)
+        cols = ("iteration", F.col("cluster").cast("string").alias("cluster"), "j", "pass", "point_id")
+        plan = staged(plan.withColumn("edge", edge))
+        swapped = plan.where("edge").select(*cols).groupBy("cluster").applyInPandas(_no_repeats, "iteration long, cluster string, j long, pass long, point_id long")
+        plan = swapped.unionByName(plan.where("not edge").select(*cols))
     slot = F.row_number().over(Window.partitionBy("iteration").orderBy("cluster", "j")) - 1
     return plan.select("iteration", slot.cast("int").alias("slot"), "cluster", "point_id", F.col("pass").alias("seen_before"))
 
 
+def plan_hierarchical(subset: DataFrame, cluster_col: str, child_col: str, batch: int, iterations: int, seed: int = 17) -> DataFrame:
+    """iteration, slot, cluster, child, point_id, seen_before: batches even over clusters whose draws go round the
+    children of the cluster in turn, least-seen tiles of each child first. Draw j of a cluster with m children is draw
+    j div m of its child j mod m."""
+    spark = subset.sparkSession
+    rows = subset.select("point_id", F.col(cluster_col).alias("cluster"), F.col(child_col).alias("child"))
+    nodes = rows.groupBy("cluster", "child").agg(F.count("*").alias("s"))
+    nodes = nodes.withColumn("o2", F.row_number().over(Window.partitionBy("cluster").orderBy("child")) - 1)
+    tops = nodes.groupBy("cluster").agg(F.count("*").alias("m"))
+    tops = tops.withColumn("o", F.row_number().over(Window.orderBy("cluster")) - 1).withColumn("k", F.count("*").over(Window.partitionBy()))
+    t, q, r = F.col("iteration"), F.expr(f"{batch} div k"), F.expr(f"{batch} % k")
+    before = lambda t: (t * q + F.floor((t * r - F.col("o") + F.col("k") - 1) / F.col("k"))).cast("long")
+    grid = spark.range(iterations).withColumnRenamed("id", "iteration").crossJoin(F.broadcast(tops))  # one row per cluster
+    grid = grid.withColumn("from", before(t)).withColumn("to", before(t + 1)).where("to > from")
+    draws = grid.withColumn("j", F.explode(F.sequence("from", F.col("to") - 1)))
+    draws = draws.withColumn("o2", F.expr("cast(j % m as int)")).join(nodes, ["cluster", "o2"])
+    draws = draws.withColumn("pass", F.expr("(j div m) div s")).withColumn("place", F.expr("(j div m) % s"))
+    most = tops.join(nodes, "cluster").select("cluster", "child", F.expr(f"cast(({before_sql(iterations, batch)} div m + s) div s as int)").alias("passes"))
+    perms = rows.join(most, ["cluster", "child"]).withColumn("pass", F.explode(F.sequence(F.lit(0).cast("long"), F.col("passes").cast("long"))))
+    key = F.md5(F.concat(F.lit(f"{seed}:"), F.col("pass"), F.lit(":"), F.col("point_id")).cast("binary"))
+    turn = Window.partitionBy("cluster", "child", "pass").orderBy(key, "point_id")
+    perms = perms.withColumn("place", (F.row_number().over(turn) - 1).cast("long"))
+    plan = draws.join(perms.select("cluster", "child", "pass", "place", "point_id"), ["cluster", "child", "pass", "place"])
+    slot = F.row_number().over(Window.partitionBy("iteration").orderBy("cluster", "j")) - 1
+    return plan.select("iteration", slot.cast("int").alias("slot"), "cluster", "child", "point_id", F.col("pass").alias("seen_before"))
+
+
 def before_sql(t: int, batch: int) -> str:
     return f"({t} * ({batch} div k) + cast(floor(({t} * ({batch} % k) - o + k - 1) / k) as bigint))"
 

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from ..functions.linalg import lloyd, nearest, plusplus, priority, sq_dist, to_matrix, uniform
 from ..sources.tables import staged
-from .kmeans_table import assign_table, fit_table, least_priority
+from .kmeans_table import assign_table, fit_table
 
 BROADCAST_BYTES = DRIVER_BYTES = 256 << 20
 
@@ -37,10 +37,10 @@ class KMeansModel:
 
 
 def priority_sample(points: DataFrame, rows: int, seed: int) -> np.ndarray:
-    """At most `rows` vectors, those of least priority, in that order: a bounded, repeatable sample."""
-    chosen = least_priority(points.select("point_id", "vec"), rows, seed)
-    picked = chosen.select(priority(seed, F.col("point_id")).alias("p"), "point_id", "vec").collect()
-    return to_matrix([r["vec"] for r in sorted(picked, key=lambda r: (r["p"], r["point_id"]))])
+    """At most `rows` vectors, those of least priority: a repeatable sample, collected, so for the driver's own bounds.
+    least_priority draws without such a bound."""
+    picked = points.orderBy(priority(seed, F.col("point_id")), "point_id").limit(rows).select("vec").collect()
+    return to_matrix([r["vec"] for r in picked])
 
 
 def seed_random(points: DataFrame, k: int, seed: int = 1) -> np.ndarray:

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .batching import sum_before
+from .kmeans import block_neighbours
 
 
 def tv_uniform(counts: DataFrame, universe: DataFrame, key: list[str], n: str = "n", by: list[str] | None = None) -> DataFrame:
@@ -54,12 +55,9 @@ def evenness(sizes: DataFrame, n: str = "n") -> DataFrame:
 
 
 def mean_nn_distance(nodes: DataFrame) -> DataFrame:
-    """Mean distance to the nearest other centroid of a level (node, centroid)."""
-    from ..functions.linalg import sq_dist
-
-    a, b = nodes.select("node", "centroid"), nodes.select(F.col("node").alias("other"), F.col("centroid").alias("c2"))
-    pairs = a.crossJoin(b).where("node <> other").groupBy("node").agg(F.min(sq_dist(F.col("centroid"), F.col("c2"))).alias("d"))
-    return pairs.agg(F.avg(F.sqrt("d")).alias("mean_nn"))
+    """Mean distance to the nearest other centroid of a level (node, centroid); blocks of nodes meet blocks of nodes."""
+    rows = nodes.select(F.col("node").alias("point_id"), F.col("centroid").alias("vec"))
+    return block_neighbours(rows, rows, 1).agg(F.avg(F.sqrt("dist2")).alias("mean_nn"))
 
 
 def volume_spread(assigned: DataFrame) -> DataFrame:

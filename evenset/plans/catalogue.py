@@ -6,6 +6,7 @@ from ..streaming import events
 from . import methods, relational
 from . import experiments as experiments  # these register their queries
 from . import extras as extras
+from . import studies as studies
 from . import surface as surface
 
 

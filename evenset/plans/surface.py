@@ -10,15 +10,14 @@ from pyspark.sql import functions as F
 
 from ..operators import batching, kmeans
 from ..operators.allocate import fill_level_bisect
-from ..sources.tables import table
+from ..sources.tables import shared_folder, table
 from .methods import customers, first_vectors, points_of, query, tile_paths
 
 __all__ = ["fresh"]
 
 
 def fresh(spark) -> str:
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or "/tmp/evenset"
-    return f"{base.rstrip('/')}/io-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/io-{uuid.uuid4().hex}"
 
 
 def _round_trip(kind: str):

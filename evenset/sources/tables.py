@@ -21,12 +21,27 @@ def table(spark: SparkSession, sf_dir: str, name: str, cast_ntz: bool = False) -
     return df
 
 
+_LOCAL: dict[str, str] = {}
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the driver and all executors share. A temporary one, one a session, serves only where none is
+    set and all runs on this machine (tests)."""
+    context = spark.sparkContext
+    base = context.getConf().get("spark.checkpoint.dir")
+    if not base:
+        if not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = _LOCAL.get(context.applicationId) or tempfile.mkdtemp(prefix="evenset-")
+        _LOCAL[context.applicationId] = base
+    return base.rstrip("/")
+
+
 def staged(df: DataFrame) -> DataFrame:
     """The table written to the folder that all executors share and read again: used where a plan needs it
-    more than once. A temporary folder serves only where the session names none (tests)."""
+    more than once."""
     spark = df.sparkSession
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="evenset-")
-    path = f"{base.rstrip('/')}/evenset-stage-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/evenset-stage-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -64,17 +79,12 @@ def slides(spark: SparkSession, sf_dir: str, width: int = 224) -> DataFrame:
 
 
 def make_tiles(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 224) -> DataFrame:
-    """Non-overlapping pieces of `width` characters; the last may be shorter."""
-    n = F.expr(f"cast((length({text_col}) - 1) div {width} as int)")
-    rows = docs.where(F.length(text_col) > 0).select(
-        F.col(id_col).alias("slide_id"), F.col(text_col).alias("t"), F.explode(F.sequence(F.lit(0), n)).alias("pos")
-    )
-    return rows.select(
-        (F.col("slide_id") * (1 << 20) + F.col("pos")).alias("tile_id"),
-        "slide_id",
-        "pos",
-        F.expr(f"substring(t, pos * {width} + 1, {width})").alias("content"),
-    )
+    """Non-overlapping pieces of `width` characters; the last may be shorter. A text is cut in one go, whatever its
+    length. Null and empty texts have no tile; a text of more than 2^20 tiles is refused, as ids would collide."""
+    cut = F.regexp_extract_all(text_col, F.lit("(?s).{1,%d}" % width), F.lit(0))
+    rows = docs.where(F.length(text_col) > 0).select(F.col(id_col).alias("slide_id"), F.posexplode(cut).alias("pos", "content"))
+    number = F.when(F.col("pos") < 1 << 20, F.col("slide_id") * (1 << 20) + F.col("pos")).otherwise(F.raise_error("too many tiles"))
+    return rows.select(number.alias("tile_id"), "slide_id", "pos", "content")
 
 
 def fit_width(df: DataFrame, col: str, width: int = 224) -> DataFrame:

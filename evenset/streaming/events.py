@@ -10,8 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.linalg import to_matrix
-from ..operators import kmeans
-from ..sources.tables import table
+from ..operators import kmeans, metrics
+from ..sources.tables import shared_folder, staged, table
 
 Q: dict = {}
 SQL: dict[str, str] = {}
@@ -28,7 +28,7 @@ def run_stream(df: DataFrame, mode: str = "append") -> DataFrame:
     that is small by nature (windows)."""
     spark = df.sparkSession
     name = f"s{uuid.uuid4().hex}"
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or f"/tmp/evenset-{name}"
+    base = shared_folder(spark)
     point = f"{base}/{name}-progress"
     out = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", point)
     if mode == "append":
@@ -106,7 +106,7 @@ SQL.update(
 def late(spark, sf):
     """Closed day windows over two runs from one checkpoint; the second run brings rows older than the
     watermark of the first, and they are dropped."""
-    base = f"{spark.sparkContext.getConf().get('spark.checkpoint.dir') or '/tmp/evenset'}/late-{uuid.uuid4().hex}"
+    base = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
     events = table(spark, sf, "events", cast_ntz=True).select("event_id", "ts")
     inbox, out = f"{base}/in", f"{base}/out"
     top = events.agg(F.max("ts")).first()[0]
@@ -149,7 +149,7 @@ def minibatch(spark, sf, decay: float = 0.9):
         held["c"][both > 0] = moved[both > 0]
         held["mass"], held["version"] = both, held["version"] + 1
 
-    progress = f"{spark.sparkContext.getConf().get('spark.checkpoint.dir') or '/tmp/evenset'}/mini-{uuid.uuid4().hex}"
+    progress = f"{shared_folder(spark)}/mini-{uuid.uuid4().hex}"
     q = point_stream(spark, sf).writeStream.foreachBatch(update).option("checkpointLocation", progress)
     q.trigger(availableNow=True).start().awaitTermination()
     rows = [(i, float(m), held["version"]) for i, m in enumerate(held["mass"])]
@@ -174,10 +174,48 @@ def least_seen(spark, sf, size: int = 10):
     return run_stream(s)
 
 
+def window_tv(spark, sf):
+    """Distance from uniform of the event types in each day window that has closed; one row per window is written
+    by foreachBatch."""
+    out = f"{shared_folder(spark)}/tv-{uuid.uuid4().hex}"
+    types = table(spark, sf, "events").select("event_type").distinct()
+    days = event_stream(spark, sf).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(F.count("*").alias("n"))
+
+    def measure(batch: DataFrame, _: int) -> None:
+        counts = batch.select(_stamp("window.start").alias("start"), "event_type", "n")
+        metrics.tv_uniform(staged(counts), types, ["event_type"], by=["start"]).write.mode("append").parquet(out)
+
+    q = days.writeStream.foreachBatch(measure).outputMode("append").option("checkpointLocation", f"{out}-progress")
+    q.trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("start string, tv double").parquet(out).select("start", F.round("tv", 8).alias("tv"))
+
+
+def updates(spark, sf):
+    """Running counts by type in update mode, on a processing-time trigger, until all files are read; the last version
+    of each count is returned."""
+    out = f"{shared_folder(spark)}/up-{uuid.uuid4().hex}"
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.withColumn("version", F.lit(number)).write.mode("append").parquet(out)
+
+    counts = event_stream(spark, sf).groupBy("event_type").agg(F.count("*").alias("n"))
+    q = counts.writeStream.foreachBatch(keep).outputMode("update").option("checkpointLocation", f"{out}-progress")
+    q = q.trigger(processingTime="1 second").start()
+    q.processAllAvailable()
+    q.stop()
+    rows = spark.read.schema("event_type string, n long, version int").parquet(out)
+    return rows.groupBy("event_type").agg(F.max_by("n", "version").alias("n"))
+
+
 _NODES = (
     "SELECT vec_id AS point_id, arg_min(node, (d, node)) AS node FROM (SELECT p.vec_id, c.vec_id AS node, list_sum([(z[1]::DOUBLE - z[2]::DOUBLE) * (z[1]::DOUBLE - z[2]::DOUBLE) FOR z IN list_zip(p.embedding, c.embedding)]) AS d "
     "FROM embeddings p, embeddings c WHERE c.vec_id < 10) x GROUP BY vec_id"
 )
+Q.update(stream_window_tv=window_tv, stream_update_mode=updates)
+SQL.update(
+    stream_window_tv="WITH c AS (SELECT date_trunc('day', ts)::TIMESTAMP AS d, event_type, count(*) AS n FROM events GROUP BY ALL), t AS (SELECT d, sum(n) AS m FROM c WHERE d + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY d), k AS (SELECT count(DISTINCT event_type) AS k FROM events) SELECT strftime(t.d, '%Y-%m-%d %H:%M:%S') AS start, round(sum(abs(coalesce(c.n, 0)::DOUBLE / m - 1.0::DOUBLE / k)) / 2, 8) AS tv FROM t CROSS JOIN (SELECT DISTINCT event_type FROM events) e CROSS JOIN k LEFT JOIN c ON c.d = t.d AND c.event_type = e.event_type GROUP BY t.d",
+    stream_update_mode="SELECT event_type, count(*) AS n FROM events GROUP BY 1",
+)
 Q.update(stream_late=late, stream_route=route, stream_minibatch_kmeans=minibatch, stream_least_seen=least_seen)
 SQL.update(
     stream_late="SELECT strftime(d, '%Y-%m-%d %H:%M:%S') AS start, n FROM (SELECT date_trunc('day', ts)::TIMESTAMP AS d, count(*) AS n FROM events GROUP BY 1) x WHERE d + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY",
