@@ -151,8 +151,14 @@ def rank_settings(results: DataFrame) -> DataFrame:
     return results.withColumn("place", F.dense_rank().over(Window.partitionBy("task").orderBy(F.desc("mean"))))
 
 
+def correlation(a: str, b: str):
+    """Pearson correlation over rows where neither is null; null where one of them does not vary."""
+    x, y = (F.when(F.col(a).isNotNull() & F.col(b).isNotNull(), F.col(c).cast("double")) for c in (a, b))
+    return F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y))
+
+
 def share_score_corr(results: DataFrame, shares: DataFrame, on: list[str]) -> DataFrame:
-    return results.join(shares, on).agg(F.corr("mean", "share").alias("corr"))
+    return results.join(shares, on).agg(correlation("mean", "share").alias("corr"))
 
 
 def monte_carlo_auc(scored: DataFrame, label: str = "label", score: str = "score", by: str = "task", run: str = "run") -> DataFrame:
