@@ -516,7 +516,7 @@ def score_pretrained(
     held_out=None,
     order: int = 5,
     block_bytes: int = 12 << 20,
-    fan_in: int = 32,
+    fan_in: int = 256,
     branch_bytes: int = 8 << 20,
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row. Rows where
