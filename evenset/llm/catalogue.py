@@ -27,4 +27,5 @@ def oracle_sql() -> dict[str, str]:
         "op5_license_digests": license_scan.OP5_SQL,
         "op7_line_quality": quality_lines.OP7_SQL,
         "op8_url_templates": url_templates.OP8_SQL,
+        "op9_near_duplicates": near_dup.OP9_SQL,
     }
