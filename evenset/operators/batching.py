@@ -57,7 +57,8 @@ def plan_shuffled(subset: DataFrame, batch: int, iterations: int, seed: int = 17
     need = batch * iterations
     if mode == "replace":
         held = global_ordinal(subset.select("point_id"), [F.col("point_id")])
-        draws = spark.range(need).withColumn("ordinal", F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(n)))
+        draw = F.conv(F.substring(priority(seed, F.col("id")), 1, 15), 16, 10).cast("long")
+        draws = spark.range(need).withColumn("ordinal", F.pmod(draw, F.lit(max(n, 1)).cast("long")))
         return draws.join(held, "ordinal").select((F.expr(f"id div {batch}")).alias("iteration"), (F.col("id") % batch).cast("int").alias("slot"), "point_id")
     passes = -(-need // max(n, 1))
     rows = subset.select("point_id").withColumn("epoch", F.explode(F.sequence(F.lit(0), F.lit(passes - 1))))

@@ -93,9 +93,21 @@ def _(spark, sf):
     return fixed_tree(spark, sf).route(points_of(spark, sf), "leaf").select("point_id", "c1")
 
 
-@query("tree_route_greedy")
+def _down(into: str, at: str, kids: str, extra: str = "") -> str:
+    """SQL of one step down: the nearest child of the node that a point has reached."""
+    return (
+        f"{into} AS (SELECT p.vec_id, arg_min(c.vec_id, ({_D2}, c.vec_id)) AS node{extra} FROM p JOIN {at} t ON t.vec_id = p.vec_id "
+        f"JOIN {kids} k ON k.above = t.node JOIN p c ON c.vec_id = k.below GROUP BY p.vec_id)"
+    )
+
+
+@query(
+    "tree_route_greedy",
+    f"{_FIXED_SQL}, g3 AS (SELECT p.vec_id, arg_min(c.vec_id, ({_D2}, c.vec_id)) AS node FROM p JOIN p c ON c.vec_id < 3 GROUP BY p.vec_id), "
+    f"{_down('g2', 'g3', 'u3')}, {_down('g1', 'g2', 'u2', f', min({_D2}) AS d')} SELECT vec_id AS point_id, node AS c1, round(d, 6) AS dist2 FROM g1",
+)
 def _(spark, sf):
-    return fixed_tree(spark, sf).route(points_of(spark, sf), "greedy")
+    return fixed_tree(spark, sf).route(points_of(spark, sf), "greedy").select("point_id", "c1", r("dist2").alias("dist2"))
 
 
 @query("cluster_volume_spread", f"WITH {_steps_sql(8, 0)} SELECT round(stddev_pop(x) / avg(x), 6) AS volume_cv FROM (SELECT node, avg(sqrt(d)) AS x FROM a0 GROUP BY node HAVING count(*) > 1) y")
@@ -103,6 +115,16 @@ def _(spark, sf):
     return metrics.volume_spread(kmeans.assign(points_of(spark, sf), first_vectors(spark, sf, 8))).select(r("volume_cv").alias("volume_cv"))
 
 
+@query(
+    "kmeans_sse_fixed",
+    f"WITH {_steps_sql(8, 2)} " + " UNION ALL ".join(f"SELECT {i} AS step, round(sum(d), 4) AS sse FROM a{i}" for i in range(3)),
+)
+def _(spark, sf):
+    """Within-cluster sum of squares per step from fixed seeds."""
+    m = kmeans.kmeans_fit(points_of(spark, sf), 8, init=first_vectors(spark, sf, 8), max_iter=3, tol=-1)
+    return spark.createDataFrame([(i, round(float(s), 4)) for i, s in enumerate(m.history)], "step int, sse double")
+
+
 @query("kmeans_sse_history")
 def _(spark, sf):
     """Within-cluster sum of squares per step, for every way to seed."""
@@ -192,7 +214,12 @@ def _(spark, sf):
 # Further plans -----------------------------------------------------------------------------------------------
 
 
-@query("batches_replace")
+@query(
+    "batches_replace",
+    "WITH h AS (SELECT doc_id AS point_id, row_number() OVER (ORDER BY doc_id) - 1 AS ordinal, count(*) OVER () AS n FROM documents) "
+    "SELECT id // 16 AS iteration, CAST(id % 16 AS INTEGER) AS slot, point_id FROM unnest(range(0, 16 * 120)) AS u(id) "
+    "JOIN h ON ordinal = CAST('0x' || substr(md5(concat('17:', id)), 1, 15) AS BIGINT) % n",
+)
 def _(spark, sf):
     return batching.plan_shuffled(small_subset(spark, sf), 16, 120, mode="replace")
 

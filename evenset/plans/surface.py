@@ -143,7 +143,12 @@ def _(spark, sf):
     return c.groupBy("g").agg(F.round(tv("n"), 6).alias("tv"))
 
 
-@query("udtf_fill_level")
+@query(
+    "udtf_fill_level",
+    "WITH s AS (SELECT n_regionkey, c_nationkey, count(*) AS s FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY ALL), "
+    "t AS (SELECT n_regionkey, cap, sum(least(s, cap)) AS total FROM s, unnest(range(0, (SELECT max(s) + 1 FROM s))) AS u(cap) GROUP BY ALL HAVING cap <= max(s)) "
+    "SELECT n_regionkey, arg_min(cap, (abs(total - 60), cap)) AS cap FROM t GROUP BY n_regionkey",
+)
 def _(spark, sf):
     """Cap per region by a table function, one call per row of collected sizes."""
 
