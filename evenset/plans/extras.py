@@ -13,7 +13,7 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from ..functions.linalg import nearest, to_matrix
 from ..operators import allocate, batching, features, kmeans, metrics, tree
-from ..sources.tables import class_label, slides, staged, table
+from ..sources.tables import class_label, fit_width, make_tiles, slides, staged, table
 from .methods import (
     _CLASSED, _D2, _PTS, _curate_sql, _DRAW, _steps_sql, SQL, TILES, alloc_sql, built, first_vectors, paths_of, points_of,
     query, r, small_subset, tile_paths,
@@ -171,6 +171,32 @@ def _(spark, sf):
     return out
 
 
+# Other forms of tiles and vectors ----------------------------------------------------------------------------
+
+
+@query("tiles_fit_width", f"WITH {TILES} SELECT tile_id, rpad(content, 224, ' ') AS content FROM t")
+def _(spark, sf):
+    tiles = make_tiles(table(spark, sf, "documents"))
+    return fit_width(tiles.select("tile_id", "content"), "content", 224)
+
+
+_DOT = "list_sum([z[1] * z[2] FOR z IN list_zip(p.v, c.v)])"
+
+
+@query(
+    "assign_cosine",
+    f"WITH {_PTS}, q AS (SELECT p.vec_id AS point_id, c.vec_id AS node, {_DOT} / sqrt(list_sum([x * x FOR x IN p.v]) * list_sum([x * x FOR x IN c.v])) AS cosine "
+    "FROM p JOIN p c ON c.vec_id < 10) SELECT point_id, arg_min(node, (-cosine, node)) AS node, round(abs(2 - 2 * max(cosine)), 6) AS dist2 FROM q GROUP BY point_id",
+)
+def _(spark, sf):
+    """Vectors of unequal length, brought to unit length: the nearest by squared distance is the nearest by angle."""
+    p = points_of(spark, sf)
+    long = p.withColumn("vec", F.transform("vec", lambda x: x * (F.col("point_id") % 7 + 1)))
+    c = first_vectors(spark, sf, 10)
+    c = c / np.linalg.norm(c, axis=1, keepdims=True)
+    return kmeans.assign(features.normalise(long), c).select("point_id", "node", r("dist2").alias("dist2"))
+
+
 # Further selections ------------------------------------------------------------------------------------------
 
 

@@ -4,7 +4,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
 
-from evenset.functions.linalg import to_matrix
+from evenset.functions.linalg import nearest, to_matrix
 from evenset.operators import allocate, batching, kmeans, metrics
 from evenset.plans import experiments, extras
 
@@ -54,6 +54,18 @@ def test_seeds_are_points_and_farthest_is_greedy(spark):
     assert len(kmeans.seed_passes(same, 3)[0]) == 1  # copies only: one seed
 
 
+def test_oversampled_seeds_are_distinct_points_and_cover_blobs(spark):
+    rng = np.random.default_rng(3)
+    centres = rng.normal(0, 50, (12, 4))
+    x = np.repeat(centres, 40, axis=0) + rng.normal(0, 0.1, (480, 4))
+    points = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "point_id long, vec array<double>")
+    seeds = kmeans.seed_parallel(points, 12, seed=5)
+    assert seeds.shape == (12, 4) and len(np.unique(seeds, axis=0)) == 12
+    assert all((np.abs(x - s).sum(axis=1) < 1e-12).any() for s in seeds)
+    assert set(nearest(seeds, centres)[0]) == set(range(12))  # one seed a blob
+    assert np.array_equal(seeds, kmeans.seed_parallel(points.repartition(5), 12, seed=5))
+
+
 def test_race_draws_in_proportion_to_distance(spark):
     pts = spark.createDataFrame([(0, [0.0]), (1, [1.0]), (2, [3.0])], "point_id long, vec array<double>").cache()
     hits = [kmeans.seed_passes(pts, 2, seed=s)[0] for s in range(25)]
